@@ -1,0 +1,11 @@
+"""Training-data operators: deduplication, filtering, mixing, packing, sharding and search.
+
+Nothing outside this folder imports it.  The Python functions that run on executors are pickled
+by value, so workers need not have this repository on their path.
+"""
+
+import sys
+
+from pyspark import cloudpickle
+
+cloudpickle.register_pickle_by_value(sys.modules[__name__])
