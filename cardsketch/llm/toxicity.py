@@ -72,17 +72,17 @@ def split_texts(texts: list[str], most: int = 1 << 21):
 class Ftrl:
     """FTRL-proximal for logistic loss with binary features."""
 
-    def __init__(self, bits: int = BITS, alpha: float = 0.3, beta: float = 1.0, l1: float = 4.0, l2: float = 0.1):
+    def __init__(self, bits: int = BITS, alpha: float = 1.0, beta: float = 1.0, l1: float = 4.0, l2: float = 0.1):
         self.z, self.n = np.zeros(1 << bits), np.zeros(1 << bits)
         self.alpha, self.beta, self.l1, self.l2 = alpha, beta, l1, l2
-        self.bias_z = self.bias_n = 0.0
+        self.bias_z = self.bias_n = self.prior = 0.0
 
     def weights(self, i: np.ndarray) -> np.ndarray:
         z = self.z[i]
         return np.where(np.abs(z) <= self.l1, 0.0, -(z - np.sign(z) * self.l1) / ((self.beta + np.sqrt(self.n[i])) / self.alpha + self.l2))
 
     def bias(self) -> float:
-        return -self.bias_z / ((self.beta + self.bias_n ** 0.5) / self.alpha)
+        return self.prior - self.bias_z / ((self.beta + self.bias_n ** 0.5) / self.alpha)
 
     def learn(self, i: np.ndarray, y: int) -> None:
         w, b = self.weights(i), self.bias()
@@ -90,11 +90,11 @@ class Ftrl:
         old = self.n[i]
         self.z[i] += g - (np.sqrt(old + g * g) - np.sqrt(old)) / self.alpha * w
         self.n[i] = old + g * g
-        self.bias_z += g - ((self.bias_n + g * g) ** 0.5 - self.bias_n ** 0.5) / self.alpha * b
+        self.bias_z += g - ((self.bias_n + g * g) ** 0.5 - self.bias_n ** 0.5) / self.alpha * (b - self.prior)
         self.bias_n += g * g
 
 
-def fit(texts: list[str], labels: list[int], passes: int = 2, least: int = 3, **options) -> tuple[np.ndarray, np.ndarray, float]:
+def fit(texts: list[str], labels: list[int], passes: int = 3, least: int = 3, **options) -> tuple[np.ndarray, np.ndarray, float]:
     """(coordinates, weights, bias): those that are not zero.
 
     Coordinates in fewer than `least` texts are left out.  The last fifth of the texts is not learnt
@@ -109,6 +109,7 @@ def fit(texts: list[str], labels: list[int], passes: int = 2, least: int = 3, **
         sets += [f[a:b].astype(np.int32) for a, b in zip(cut, cut[1:])]
     sets = [x[seen[x] >= least] for x in sets]
     learnt = len(sets) - len(sets) // 5
+    model.prior = float(np.log((sum(labels) + 0.5) / (len(labels) - sum(labels) + 9.5)))  # few rows: mostly clean
     for _ in range(passes):
         for x, y in zip(sets[:learnt], labels):
             model.learn(x, y)
