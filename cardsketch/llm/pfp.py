@@ -118,11 +118,12 @@ def _refine(length: int, width: int):
 def _resolve(ranges: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(found, repeated, open): ranges with a first key seen twice, those all of whose windows are repeated, and those that the next level
     must see: of each two or more unlike ranges with a common first key, one range a kind."""
-    again = ranges.groupBy("s").agg(F.count("*").alias("n")).where("n > 1").select("s")
+    # counts are written first: a join then has plain exchanges on both sides and can be split where a key is hot
+    again = stored(ranges.groupBy("s").agg(F.count("*").alias("n")).where("n > 1").select("s"))
     found = stored(ranges.join(again, "s", "left_semi"))
     kinds = stored(found.groupBy("s", "b1", "b2").agg(F.count("*").alias("n"), F.min(F.struct("id", "th", "t", "lo", "hi")).alias("r")))
     whole = found.join(kinds.where("n > 1").select("s", "b1", "b2"), ["s", "b1", "b2"], "left_semi").select("id", "th", "lo", "hi")
-    several = kinds.groupBy("s").agg(F.count("*").alias("k")).where("k > 1").select("s")
+    several = stored(kinds.groupBy("s").agg(F.count("*").alias("k")).where("k > 1").select("s"))
     return found, whole, kinds.join(several, "s", "left_semi").select("r.*")
 
 

@@ -99,7 +99,8 @@ def candidates(text: str, base: list[tuple[int, int, str]]) -> list[tuple[int, i
         s = m[0]
         if any(a <= m.start() and m.end() <= b or m.start() <= a and b <= m.end() for a, b, _ in base):
             continue
-        if s.isalpha() and (s.islower() or s[1:].islower()):  # one case and letters only: a word of some language
+        plain = s.translate(_JOINS)
+        if plain.isalpha() and (plain.islower() or plain[1:].islower()):  # words of some language, joined or not
             score = 0.0
         else:
             score = randomness(s)[1]
@@ -108,6 +109,7 @@ def candidates(text: str, base: list[tuple[int, int, str]]) -> list[tuple[int, i
 
 
 _CAND = re.compile(CANDIDATE)
+_JOINS = str.maketrans("", "", "-_=/")
 
 
 def length_class(n: int) -> int:
