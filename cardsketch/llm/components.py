@@ -10,13 +10,13 @@ from .common import discard, stored
 
 def _large_star(e: DataFrame) -> DataFrame:
     both = e.union(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    low = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
+    low = stored(both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m")))
     return both.where("b > a").join(low, "a").where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
 
 
 def _small_star(e: DataFrame) -> DataFrame:
     down = e.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
-    low = down.groupBy("a").agg(F.min("b").alias("m"))
+    low = stored(down.groupBy("a").agg(F.min("b").alias("m")))
     linked = down.join(low, "a").where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
     return linked.union(low.select("a", F.col("m").alias("b"))).distinct()
 
@@ -24,7 +24,8 @@ def _small_star(e: DataFrame) -> DataFrame:
 def components(edges: DataFrame) -> DataFrame:
     """(a, b): links between longs.  Returns (node, root): root is the least node of its component.
 
-    Each round's edges are written to the shared folder, so lineage stays short; rounds grow with
+    Each round's edges and minima are written to the shared folder, so lineage stays short and the joins
+    of both have plain exchanges, which can be split at a hub; rounds grow with
     the logarithm of a component's width.  Nodes without an edge to another node are not returned.
     """
     e = stored(edges.where("a <> b").distinct())
