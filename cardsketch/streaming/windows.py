@@ -10,6 +10,7 @@ from pyspark.sql.streaming.state import GroupStateTimeout
 from ..config import SketchConfig
 from ..functions.hashing import split
 from ..operators.estimators import from_sums, sums
+from ..operators.registers import nb_update
 from ..sources.tables import scratch
 
 
@@ -56,8 +57,6 @@ def stateful_martingale(stream: DataFrame, col: str, by: str, order: str, cfg: S
     m = cfg.m
 
     def run(key, frames, state):
-        from cardsketch.operators.registers import nb_update
-
         top, nbr, total, est, var, n = state.get if state.exists else ([0] * m, [1] * m, float(m), 0.0, 0.0, 0)
         top, nbr = list(top), list(nbr)
         pdf = pd.concat(list(frames)).sort_values("o")
