@@ -37,15 +37,16 @@ def discard(df: DataFrame) -> None:
         p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
 
 
-def ranked(df: DataFrame, keys: list[str], order: list[Column], name: str, spread: int) -> DataFrame:
+def ranked(df: DataFrame, keys: list[str], order: list[Column], name: str, spread: int, cells: Column | None = None) -> DataFrame:
     """Adds a gapless rank from 0 within each value of keys, without sorting a whole group in one task.
 
     Rows of a key are dealt over `spread` cells by a hash of the order columns; a cell's first rank
     is the number of rows in the key's earlier cells.  Only the cells' counts, `spread` a key at
-    most, meet in one task.  Rows equal in all order columns are interchangeable.
+    most, meet in one task.  Rows equal in all order columns are interchangeable.  With `cells`, cells
+    that rise with the order columns, ranks do too.
     """
     cell = f"__{name}_cell"
-    x = df.withColumn(cell, F.pmod(F.xxhash64(F.lit(7), *order), F.lit(spread)).cast("int"))
+    x = df.withColumn(cell, F.pmod(F.xxhash64(F.lit(7), *order), F.lit(spread)).cast("int") if cells is None else cells)
     by = Window.partitionBy(*keys).orderBy(cell)
     first = x.groupBy(*keys, cell).agg(F.count("*").alias("__n")).select(
         *[F.col(k).alias(f"__k{i}") for i, k in enumerate(keys)], F.col(cell).alias("__c"),

@@ -268,7 +268,19 @@ def test_mix(request, name):
     assert sorted(slots) == list(range(len(slots)))
     out = mixing.mixed(df, block_rows=2)
     assert out.columns == df.columns
-    assert Counter(out.collect()) == Counter(df.collect())
+    got = out.collect()
+    assert Counter(got) == Counter(df.collect())
+    place = {(r["doc_id"], r["source"]): (r["slot"], r["place"]) for r in mixing.mix(df, block_rows=2).collect()}
+    if len(place) == len(got):
+        order = [place[r["doc_id"], r["source"]] for r in got]
+        assert order == sorted(order)
+
+
+def test_both_ways_of_ordering_agree(spark, docs, monkeypatch):
+    once = docs.dropDuplicates(["doc_id"]).where("doc_id is not null")
+    a = [r["doc_id"] for r in mixing.mixed(once, block_rows=2).collect()]
+    monkeypatch.setattr(mixing, "STARTS", 0)
+    assert a == [r["doc_id"] for r in mixing.mixed(once, block_rows=2).collect()] and a
 
 
 def test_deviation_is_under_one_block():
