@@ -305,6 +305,41 @@ def test_deviation_is_under_one_block():
                     assert abs(seen[phase, s] - share * (t + 1 - start)) < 1
 
 
+@pytest.mark.parametrize("w,blocks", [
+    ({f"s{i:04}": 400.0 if i == 0 else 1.0 + i % 3 for i in range(1200)}, 12),
+    ({f"s{i:04}": 0.5 if i == 0 else 0.5 / 499 for i in range(500)}, 9),
+    ({f"s{i:04}": 0.5 if i == 0 else 0.5 / 19 for i in range(20)}, 400),
+])
+def test_deviation_from_the_target_weights_is_under_one_block(w, blocks):
+    most = {s: blocks * (200 if s == "s0000" else 1) for s in w}
+    left = dict(most)
+    plan = mixing.schedule(most, w)
+    for phase in range(min(6, 1 + max(r["phase"] for r in plan))):
+        rows = [r for r in plan if r["phase"] == phase]
+        total = sum(w[s] for s in left if left[s])
+        slots = {r["source"]: r["slots"] for r in rows}
+        end = sum(r["last"] - r["first"] + 1 for r in rows)
+        for s in (s for s in left if left[s]):
+            seen = np.zeros(end, int)
+            seen[slots.get(s, [])] = 1
+            assert np.abs(np.cumsum(seen) - w[s] / total * np.arange(1, end + 1)).max() < 1 + 1e-6
+        for r in rows:
+            left[r["source"]] -= r["last"] - r["first"] + 1
+
+
+def test_quotas_follow_weights():
+    q = mixing.quotas({f"s{i}": 0.5 if i == 0 else 0.5 / 499 for i in range(500)}, 1000)
+    assert sum(q.values()) == 1000 and abs(q["s0"] - 500) <= 1 and min(q.values()) == 1
+    assert mixing.quotas({"a": 1.0, "b": 1e-12}, 10) == {"a": 9, "b": 1}
+
+
+def test_long_phases_repeat_a_period(monkeypatch):
+    monkeypatch.setattr(mixing, "EXACT", 64)
+    plan = mixing.schedule({"a": 300, "b": 700}, {"a": 3.0, "b": 7.0}, 50)
+    at = sorted(r["start"] + r["period"] * (k // r["quota"]) + r["slots"][k % r["quota"]] for r in plan for k in range(r["last"] - r["first"] + 1))
+    assert at == list(range(1000)) and plan[0]["period"] == 64
+
+
 @pytest.mark.parametrize("name", ["docs", "odd", "empty"])
 def test_shard(request, name):
     df = request.getfixturevalue(name)
