@@ -6,18 +6,22 @@ tightest open capacity that takes a length, and one plan row places a run of lik
 of like bins.  Pieces find their place by their rank within their length.  The result is that of
 best-fit decreasing piece by piece, over all pieces at once.
 
-Null and empty texts are one closing token.  Repeated rows are packed like any others.
+Where rows have a place, an order to keep, it ranks the pieces of a length, and sequences are numbered by the place
+of their first piece.  Null and empty texts are one closing token.  Repeated rows are packed like any others.
 """
 
 from __future__ import annotations
 
+import json
+import re
 import sys
 import zlib
 from array import array
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.errors import AnalysisException
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import ranked, spread_for, stored
@@ -167,18 +171,37 @@ def word_ids(path: str):
     return ids
 
 
+#: Rows of a file or partition whose pieces are ranked in one group, as bits.
+CELL_BITS = 13
+
+
+def with_place(docs: DataFrame, name: str = "place") -> DataFrame:
+    """docs with a long that rises with the order in which its rows were written: by file, as numbered
+    by the task that wrote it, then by the row's number in its file.  Reading deals files and their
+    parts out in an order of its own, which this doesn't depend on.  Rows of other DataFrames have the order of their partitions."""
+    try:
+        x = docs.select("*", F.col("_metadata.file_path").alias("__file"), F.col("_metadata.row_index").alias("__row"))
+    except AnalysisException:
+        return docs.withColumn(name, F.monotonically_increasing_id())
+    files = sorted((f.rsplit("/", 1)[-1] for f in docs.inputFiles()), key=lambda f: (int((re.match(r"part-(\d+)", f) or [0, 0])[1]), f))
+    number = F.map_from_arrays(*[F.from_json(F.lit(json.dumps(v)), f"array<{t}>") for v, t in ((files, "string"), (list(range(len(files))), "long"))])
+    at = F.broadcast(docs.sparkSession.range(1).select(F.explode(number).alias("__name", "__number")))
+    x = x.join(at, F.substring_index("__file", "/", -1) == F.col("__name"), "left")
+    return x.select(*[F.col(f"`{c}`") for c in docs.columns], (F.shiftleft(F.col("__number"), 33) + F.col("__row")).alias(name))
+
+
 def _pieces(path: str, capacity: int, close: int):
     def run(batches):
         ids, end = word_ids(path), np.array([close], "<u4").tobytes()
         for batch in batches:
             rows = []
-            for i, text in zip(batch["id"].to_pylist(), batch["text"]):
+            for i, place, text in zip(batch["id"].to_pylist(), batch["place"].to_pylist(), batch["text"]):
                 b = ids(text.as_py() or "") + end
                 for k in range(0, len(b), 4 * capacity):
                     p = b[k:k + 4 * capacity]
-                    rows.append((i, k // (4 * capacity), k // 4, len(p) // 4, zlib.crc32(p)))
-            cols = list(zip(*rows)) or [[]] * 5
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()))], names=["id", "piece", "start", "length", "ids_crc32"])
+                    rows.append((i, k // (4 * capacity), k // 4, len(p) // 4, zlib.crc32(p), place))
+            cols = list(zip(*rows)) or [[]] * 6
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64()))], names=["id", "piece", "start", "length", "ids_crc32", "place"])
     return run
 
 
@@ -190,17 +213,32 @@ def _place(plan: np.ndarray):
             n, rank = batch["length"].to_numpy(), batch["rank"].to_numpy()
             p = plan[np.searchsorted(key, n * (1 << 48) + rank, "right") - 1]
             k = rank - p[:, 1]
-            yield pa.RecordBatch.from_arrays([*(batch[c] for c in ("id", "piece", "start", "length", "ids_crc32")), pa.array(p[:, 3] + k // p[:, 4]), pa.array(p[:, 5] + k % p[:, 4] * n)], names=["id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset"])
+            yield pa.RecordBatch.from_arrays([*(batch[c] for c in ("id", "piece", "start", "length", "ids_crc32", "place")), pa.array(p[:, 3] + k // p[:, 4]), pa.array(p[:, 5] + k % p[:, 4] * n)], names=["id", "piece", "start", "length", "ids_crc32", "place", "sequence_id", "offset"])
     return run
 
 
-def pack(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col: str = "text", capacity: int = CAPACITY, close: int = CLOSE) -> DataFrame:
-    """(id, piece, start, length, ids_crc32, sequence_id, offset): the place of each piece."""
-    made = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
-    made = stored(made.mapInArrow(_pieces(tokenizer_path, capacity, close), "id long, piece int, start long, length long, ids_crc32 long"))
+def _numbered(x: DataFrame) -> DataFrame:
+    """Sequences numbered anew, by the place of the piece each begins with."""
+    heads = x.where("offset = 0").select(F.col("sequence_id").alias("__old"), "place", "piece", F.shiftright("place", CELL_BITS).alias("__cell"))
+    counts = heads.groupBy("__cell").agg(F.count("*").alias("n"))
+    first = counts.select(F.col("__cell").alias("__c"), (F.sum("n").over(Window.orderBy("__cell")) - F.col("n")).alias("__first"))
+    heads = heads.withColumn("__at", F.row_number().over(Window.partitionBy("__cell").orderBy("place", "piece")))
+    heads = heads.join(first, F.col("__cell") == F.col("__c")).select("__old", (F.col("__first") + F.col("__at") - 1).alias("__new"))
+    return x.join(heads, F.col("sequence_id") == F.col("__old")).withColumn("sequence_id", F.col("__new"))
+
+
+def pack(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col: str = "text", capacity: int = CAPACITY, close: int = CLOSE, in_order: bool = False) -> DataFrame:
+    """(id, piece, start, length, ids_crc32, sequence_id, offset): the place of each piece.
+    With in_order, the order in which docs was written ranks like pieces and numbers sequences."""
+    made = with_place(docs) if in_order else docs.withColumn("place", F.lit(0).cast("long"))
+    made = made.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"), "place")
+    made = stored(made.mapInArrow(_pieces(tokenizer_path, capacity, close), "id long, piece int, start long, length long, ids_crc32 long, place long"))
     counts = {r["length"]: r["n"] for r in made.groupBy("length").agg(F.count("*").alias("n")).collect()}  # capacity rows at most
     plan = np.array(sorted(best_fit_plan(counts, capacity)), np.int64).reshape(-1, 6)
-    x = ranked(made, ["length"], [F.col("id"), F.col("piece"), F.col("ids_crc32")], "rank", spread_for(sum(counts.values())))
-    x = x.select("id", "piece", "start", "length", "ids_crc32", "rank")
-    out = x.mapInArrow(_place(plan), "id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long")
-    return out.withColumnRenamed("id", id_col)
+    order = ([F.col("place")] if in_order else [F.col("id")]) + [F.col("piece"), F.col("ids_crc32")]
+    x = ranked(made, ["length"], order, "rank", spread_for(sum(counts.values())), F.shiftright("place", CELL_BITS) if in_order else None)
+    x = x.select("id", "piece", "start", "length", "ids_crc32", "place", "rank")
+    out = x.mapInArrow(_place(plan), "id long, piece int, start long, length long, ids_crc32 long, place long, sequence_id long, offset long")
+    if in_order:
+        out = _numbered(stored(out))
+    return out.select(F.col("id").alias(id_col), "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
