@@ -1,11 +1,10 @@
-"""Removal of long repeated byte strings by prefix-free parsing.
+"""Removal of long repeated byte strings by window-minimum anchors and fingerprints of byte ranges.
 
-A rolling hash over 16 bytes cuts each text into phrases: a byte is a trigger if its hash is the
+Each byte has a hash of the 16 bytes there, worked out anew: a byte is a trigger if its hash is the
 least among the next SPAN positions of some window.  So each window of `length` bytes has one
 trigger that its content alone decides, and equal windows, wherever they are, see it at the same
-place.  A window is then known by the piece of the dictionary phrase before the trigger and by the
-parse from the trigger on; corpus order is needed only as far as it brings equal windows together,
-so dictionary suffixes and parse suffixes are ranked by fingerprints, not letters.
+place.  There is no dictionary, parse or order of suffixes: only equal windows must come together,
+and fingerprints of the bytes around the trigger do that.
 
 Windows of one trigger are handled as one range.  At each of three levels (ranges of 256, 16 and 1
 windows) a range has two keys: the bytes that all its windows share, and the bytes that any of them
