@@ -1,6 +1,7 @@
 """Exact top-k search in Hamming space by incremental multi-index hashing.
 
-Vectors become 64-bit codes (the signs of their coordinates, or of keyed projections if there are more or fewer).  Codes are
+Vectors become 64-bit codes (the signs of their coordinates; with fewer than 64 the other bits are
+zero, and coordinates from 64 on are folded in by XOR, which does not keep nearness).  Codes are
 cut into SEGMENTS segments, each with a table from its value to codes.  A query probes all values within
 radius 0, 1, 2, ... of its own, segment by segment, and verifies what it finds; once radius r is done
 on the first j segments and r - 1 on the others, every code within SEGMENTS * r + j - 1 has been
