@@ -1,22 +1,27 @@
-"""Removal of long repeated byte strings by window-minimum anchors and fingerprints of byte ranges.
+"""Removal of long repeated strings by window-minimum anchors and fingerprints of ranges of windows.
 
-Each byte has a hash of the 16 bytes there, worked out anew: a byte is a trigger if its hash is the
-least among the next SPAN positions of some window.  So each window of `length` bytes has one
+A text is a sequence of units: its bytes, or the hashes of its words (runs between ASCII white space, A-Z
+lower-cased).  A window is `length` units.  Each unit has a hash of the few units there; a unit is a
+trigger if its hash is the least among the next `span` units of some window.  So each window has one
 trigger that its content alone decides, and equal windows, wherever they are, see it at the same
 place.  There is no dictionary, parse or order of suffixes: only equal windows must come together,
-and fingerprints of the bytes around the trigger do that.
+and fingerprints of the units around the trigger do that.
 
-Windows of one trigger are handled as one range.  At each of three levels (ranges of 256, 16 and 1
-windows) a range has two keys: the bytes that all its windows share, and the bytes that any of them
-covers.  If no other range has the first, none of its windows is repeated; if another has the second
-(128 bits), all are; the rest goes to the next level.  Rows are ranges, never bytes or pairs.
+Windows of one trigger are handled as one range.  First only ranges are kept whose key, the units that
+all windows of that trigger share, occurs again; only their texts move.  Then, at each of three
+levels (the widths of a Law), a range has two keys: the units that all its windows share, and those
+that any of them covers.  If no other range has the first, none of its windows is repeated; if another
+has the second (128 bits), all are; the rest goes to the next level.  Rows are ranges, never units or pairs.
 
-Null text is empty.  Texts shorter than `length` lose nothing.  Repeated rows repeat each other.
+Null text is empty.  Texts shorter than a window lose nothing.  Repeated rows repeat each other, and so do equal
+strings of one text.  Only the id and text columns are read, whatever other columns are called.
 """
 
 from __future__ import annotations
 
 import hashlib
+import re
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -24,153 +29,249 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import discard, stored
 
-SPAN, FINE, GRAM = 256, 16, 16
 #: Windows handled at once, which bounds the memory for very long texts.
 CHUNK = 1 << 20
 #: Stands for a null id inside the operator.
 NO_ID = -(1 << 63)
-RANGES = "id long, th long, t int, lo int, hi int, s long, b1 long, b2 long"
+#: Most ids of cut texts that are sent to all tasks, so that the other texts need not move.
+SENT = 1 << 20
+ANCHORS = "id long, th long, law tinyint, t int, lo int, hi int, s long"
+RANGES = ANCHORS + ", b1 long, b2 long"
 
 
-def triggers(data: np.ndarray, windows: int, span: int = SPAN) -> np.ndarray:
-    """For each of the first `windows` starts, the trigger among the next `span` positions."""
-    n = windows + span - 1
-    x = np.ndarray((n + 8,), "<u8", data, 0, (1,))
-    h = x[:n] * np.uint64(0x9E3779B97F4A7C15) + x[8:] * np.uint64(0xC2B2AE3D27D4EB4F)
+@dataclass(frozen=True)
+class Law:
+    """What windows are made of: bytes a unit, units a window and a trigger's search, widths of the levels."""
+
+    unit: int
+    length: int
+    span: int
+    widths: tuple[int, int, int]
+
+    def units(self, buf: bytes) -> bytes:
+        if self.unit == 1:
+            return buf
+        words = buf.lower().split()
+        return np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, len(words)).tobytes()
+
+
+def by_bytes(length: int) -> Law:
+    if length < 272:
+        raise ValueError("length must be 272 bytes at least")
+    return Law(1, length, 256, (256, 16, 1))
+
+
+def by_words(length: int) -> Law:
+    if length < 44:
+        raise ValueError("length must be 44 words at least")
+    return Law(8, length, 40, (40, 8, 1))
+
+
+def _place_hashes(data: np.ndarray, law: Law, n: int) -> np.ndarray:
+    """A hash of 16 bytes or 4 words at each of the first n units."""
+    if law.unit == 1:
+        x = np.ndarray((n + 8,), "<u8", data, 0, (1,))
+        h = x[:n] * np.uint64(0x9E3779B97F4A7C15) + x[8:] * np.uint64(0xC2B2AE3D27D4EB4F)
+    else:
+        x = data.view("<u8")
+        h = x[:n] * np.uint64(0x9E3779B97F4A7C15)
+        for k, c in ((1, 0xC2B2AE3D27D4EB4F), (2, 0x165667B19E3779F9), (3, 0xD6E8FEB86659FD93)):
+            h += x[k:n + k] * np.uint64(c)
     h ^= h >> np.uint64(29)
     h *= np.uint64(0xBF58476D1CE4E5B9)
+    return h
+
+
+def triggers(data: np.ndarray, windows: int, law: Law) -> np.ndarray:
+    """For each of the first `windows` starts, the trigger among the next law.span units."""
+    n = windows + law.span - 1
+    h = _place_hashes(data, law, n)
     h &= np.uint64(0xFFFFFFFF00000000)
     h |= np.uint64(0xFFFFFFFF) - np.arange(n, dtype=np.uint64)
     step = 1
-    while step < span:
+    while 2 * step <= law.span:
         h = np.minimum(h[:-step], h[step:])
         step *= 2
+    if step < law.span:
+        h = np.minimum(h[:step - law.span], h[law.span - step:])
     return (np.uint64(0xFFFFFFFF) - (h[:windows] & np.uint64(0xFFFFFFFF))).astype(np.int64)
 
 
-def _keys(buf: bytes, t: int, lo: int, hi: int, width: int, length: int) -> tuple[int, int, int]:
-    """Keys of the windows lo..hi of trigger t: of the bytes shared by any `width` windows aligned
-    to the trigger, and of all bytes covered."""
-    near = (t - hi) // width * width
-    s = xxhash.xxh3_64_intdigest(buf[t - near:t - near - width + 1 + length], seed=near)
-    b = xxhash.xxh3_128_intdigest(buf[lo:hi + length], seed=t - lo)
+def anchors(buf: bytes, law: Law):
+    """(t, lo, hi, s) arrays: the ranges of windows of a text, by trigger, a chunk at a time."""
+    total = len(buf) // law.unit - law.length + 1
+    whole, shared = np.frombuffer(buf, np.uint8), (law.length - law.span + 1) * law.unit
+    for base in range(0, max(0, total), CHUNK):
+        windows = min(CHUNK, total - base)
+        at = triggers(whole[base * law.unit:], windows, law) + base
+        cut = np.flatnonzero(np.diff(at)) + 1
+        lo, hi = np.concatenate(([0], cut)) + base, np.concatenate((cut, [windows])) - 1 + base
+        t = at[lo - base]
+        s = np.fromiter((xxhash.xxh3_64_intdigest(buf[a:a + shared], law.unit) for a in (t * law.unit).tolist()), np.uint64, len(t))
+        yield t, lo, hi, s.view(np.int64)
+
+
+def _keys(buf: bytes, law: Law, t: int, lo: int, hi: int, width: int) -> tuple[int, int, int]:
+    """Keys of the windows lo..hi of trigger t: of the units shared by any `width` windows aligned
+    to the trigger, and of all units covered."""
+    near, u = (t - hi) // width * width, law.unit
+    s = xxhash.xxh3_64_intdigest(buf[(t - near) * u:(t - near - width + 1 + law.length) * u], seed=2 * near + (u > 1))
+    b = xxhash.xxh3_128_intdigest(buf[lo * u:(hi + law.length) * u], seed=2 * (t - lo) + (u > 1))
     return s, b & 0xFFFFFFFFFFFFFFFF, b >> 64
 
 
-def _table(cols: list[list[int]]) -> pa.RecordBatch:
-    long = lambda v: pa.array(np.array(v, np.uint64).view(np.int64))
-    i, th, t, lo, hi, s, b1, b2 = cols
-    return pa.RecordBatch.from_arrays([pa.array(i, pa.int64()), pa.array(th, pa.int64()), *(pa.array(x, pa.int32()) for x in (t, lo, hi)), long(s), long(b1), long(b2)], names=["id", "th", "t", "lo", "hi", "s", "b1", "b2"])
+def _parse(laws: list[Law]):
+    """From (id, th, text): the anchors of each text under each law."""
+    names = [x.split()[0] for x in ANCHORS.split(", ")]
 
+    def table(held) -> pa.RecordBatch:
+        i, th, law, t, lo, hi, s = (np.concatenate(c) for c in zip(*held))
+        return pa.RecordBatch.from_arrays([pa.array(i), pa.array(th), pa.array(law), *(pa.array(x.astype(np.int32)) for x in (t, lo, hi)), pa.array(s)], names=names)
 
-def _parse(length: int):
     def run(batches):
         for batch in batches:
-            cols: list[list[int]] = [[] for _ in range(8)]
+            held, n = [], 0
             for i, th, text in zip(batch["id"].to_pylist(), batch["th"].to_pylist(), batch["text"]):
-                buf = (text.as_py() or "").encode()
-                if len(buf) < length:
-                    continue
-                whole = np.frombuffer(buf, np.uint8)
-                for base in range(0, len(buf) - length + 1, CHUNK):
-                    windows = min(CHUNK, len(buf) - length + 1 - base)
-                    at = triggers(whole[base:], windows) + base
-                    cut = np.flatnonzero(np.diff(at)) + 1
-                    starts, ends = np.concatenate(([0], cut)) + base, np.concatenate((cut, [windows])) - 1 + base
-                    for t, lo, hi in zip(at[starts - base].tolist(), starts.tolist(), ends.tolist()):
-                        s, b1, b2 = _keys(buf, t, lo, hi, SPAN, length)
-                        for c, v in zip(cols, (i, th, t, lo, hi, s, b1, b2)):
-                            c.append(v)
-                if len(cols[0]) > 50_000:
-                    yield _table(cols)
-                    cols = [[] for _ in range(8)]
-            if cols[0]:
-                yield _table(cols)
+                raw = (text.as_py() or "").encode()
+                for k, law in enumerate(laws):
+                    for t, lo, hi, s in anchors(law.units(raw), law):
+                        held.append((np.full(len(t), i, np.int64), np.full(len(t), th, np.int64), np.full(len(t), k, np.int8), t, lo, hi, s))
+                        n += len(t)
+                if n > 50_000:
+                    yield table(held)
+                    held, n = [], 0
+            if held:
+                yield table(held)
     return run
 
 
-def _refine(length: int, width: int):
-    """From (id, th, text, ranges): the ranges cut at multiples of width from their triggers."""
+def _refine(laws: list[Law], level: int):
+    """From (id, th, text, ranges): the ranges cut at multiples of the level's width from their triggers."""
+    names = [x.split()[0] for x in RANGES.split(", ")]
+
+    def table(cols) -> pa.RecordBatch:
+        long = lambda v: pa.array(np.array(v, np.uint64).view(np.int64))
+        i, th, law, t, lo, hi, s, b1, b2 = cols
+        return pa.RecordBatch.from_arrays([pa.array(i, pa.int64()), pa.array(th, pa.int64()), pa.array(law, pa.int8()), *(pa.array(x, pa.int32()) for x in (t, lo, hi)), long(s), long(b1), long(b2)], names=names)
+
     def run(batches):
         for batch in batches:
-            cols: list[list[int]] = [[] for _ in range(8)]
+            cols: list[list[int]] = [[] for _ in names]
             for i, th, text, ranges in zip(batch["id"].to_pylist(), batch["th"].to_pylist(), batch["text"], batch["ranges"]):
-                buf = (text.as_py() or "").encode()
+                raw, units = (text.as_py() or "").encode(), {}
                 for r in ranges.as_py() or ():
-                    t, hi = r["t"], r["hi"]
+                    k, t, hi = r["law"], r["t"], r["hi"]
+                    law, width = laws[k], laws[k].widths[level]
+                    if k not in units:
+                        units[k] = law.units(raw)
                     while hi >= r["lo"]:
                         lo = max(r["lo"], t - ((t - hi) // width + 1) * width + 1)
-                        s, b1, b2 = _keys(buf, t, lo, hi, width, length)
-                        for c, v in zip(cols, (i, th, t, lo, hi, s, b1, b2)):
+                        for c, v in zip(cols, (i, th, k, t, lo, hi, *_keys(units[k], law, t, lo, hi, width))):
                             c.append(v)
                         hi = lo - 1
                 if len(cols[0]) > 50_000:
-                    yield _table(cols)
-                    cols = [[] for _ in range(8)]
+                    yield table(cols)
+                    cols = [[] for _ in names]
             if cols[0]:
-                yield _table(cols)
+                yield table(cols)
     return run
 
 
-def _resolve(ranges: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """(found, repeated, open): ranges with a first key seen twice, those all of whose windows are repeated, and those that the next level
-    must see: of each two or more unlike ranges with a common first key, one range a kind."""
-    # counts are written first: a join then has plain exchanges on both sides and can be split where a key is hot
-    again = stored(ranges.groupBy("s").agg(F.count("*").alias("n")).where("n > 1").select("s"))
-    found = stored(ranges.join(again, "s", "left_semi"))
-    kinds = stored(found.groupBy("s", "b1", "b2").agg(F.count("*").alias("n"), F.min(F.struct("id", "th", "t", "lo", "hi")).alias("r")))
-    whole = found.join(kinds.where("n > 1").select("s", "b1", "b2"), ["s", "b1", "b2"], "left_semi").select("id", "th", "lo", "hi")
+def _seen_again(rows: DataFrame) -> DataFrame:
+    """The rows whose key s another row has, too."""
+    # counts are written first: the join then has plain exchanges on both sides and can be split where a key is hot
+    again = stored(rows.groupBy("s").agg(F.count("*").alias("n")).where("n > 1").select("s"))
+    found = stored(rows.join(again, "s", "left_semi"))
+    discard(again)
+    return found
+
+
+def _resolve(ranges: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(repeated, open): ranges all of whose windows are repeated, and those that the next level must see: of
+    each two or more unlike ranges with a common first key, one range a kind."""
+    found = _seen_again(ranges)
+    kinds = stored(found.groupBy("s", "b1", "b2").agg(F.count("*").alias("n"), F.min(F.struct("id", "th", "law", "t", "lo", "hi")).alias("r")))
+    whole = stored(found.join(kinds.where("n > 1").select("s", "b1", "b2"), ["s", "b1", "b2"], "left_semi").select("id", "th", "law", "lo", "hi"))
     several = stored(kinds.groupBy("s").agg(F.count("*").alias("k")).where("k > 1").select("s"))
-    return found, whole, kinds.join(several, "s", "left_semi").select("r.*")
+    left = stored(kinds.join(several, "s", "left_semi").select("r.*"))
+    for x in (found, kinds, several):
+        discard(x)
+    return whole, left
+
 
+def _runs(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """The union of half-open spans as maximal runs; runs that touch are one."""
+    out: list[tuple[int, int]] = []
+    for a, b in sorted(spans):
+        if out and a <= out[-1][1]:
+            out[-1] = out[-1][0], max(b, out[-1][1])
+        else:
+            out.append((a, b))
+    return out
 
-def _cut(length: int):
-    """From (id, th, text, spans): what is left of each text."""
+
+def _without(buf: bytes, runs: list[tuple[int, int]]) -> bytes:
+    ends = [0, *(b for _, b in runs)]
+    return b"".join(buf[a:b] for a, b in zip(ends, [*(a for a, _ in runs), len(buf)]))
+
+
+def _cut(laws: list[Law], with_text: bool):
+    """From (id, th, text, spans): what is removed from each text, and what is left of it."""
     def run(batches):
         for batch in batches:
             rows = []
             for i, th, text, spans in zip(batch["id"].to_pylist(), batch["th"].to_pylist(), batch["text"], batch["spans"]):
-                buf, kept, runs, end = (text.as_py() or "").encode(), [], 0, 0
-                removed, at = 0, None
-                for lo, hi in sorted((x["lo"], x["hi"] + length) for x in spans.as_py()):
-                    if at is None or lo > end:
-                        kept.append(buf[end:lo])
-                        at, runs = lo, runs + 1
-                        removed += hi - lo
-                        end = hi
-                    elif hi > end:
-                        removed += hi - end
-                        end = hi
-                kept.append(buf[end:])
-                rows.append((i, th, removed, runs, hashlib.sha256(b"".join(kept)).hexdigest(), b"".join(kept)))
-            cols = list(zip(*rows)) or [[]] * 6
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.binary()))], names=["id", "th", "n_removed", "n_spans", "kept_sha256", "kept"])
+                buf = (text.as_py() or "").encode()
+                per = [_runs([(x["lo"], x["hi"] + law.length) for x in spans.as_py() if x["law"] == k]) for k, law in enumerate(laws)]
+                kept, words = _without(buf, per[0]), per[1] if len(per) > 1 else []
+                left = None
+                if with_text:
+                    at = [m.span() for m in re.finditer(rb"[^\x20\x09-\x0D]+", buf)] if words else []
+                    left = _without(buf, _runs([*per[0], *((at[a][0], at[b - 1][1]) for a, b in words)])).decode("utf-8", "replace")
+                rows.append((i, th, sum(b - a for a, b in per[0]), len(per[0]), hashlib.sha256(kept).hexdigest(), len(words), sum(b - a for a, b in words), left))
+            cols = list(zip(*rows)) or [[]] * 8
+            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string())
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], names=["id", "th", *CUT])
     return run
 
 
-def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 400, with_bytes: bool = False) -> DataFrame:
-    """(id, n_bytes, n_removed, n_spans, kept_sha256[, kept]) for each row of docs."""
-    if length < SPAN + GRAM:
-        raise ValueError(f"length must be {SPAN + GRAM} at least")
-    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    whole = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("id"), F.xxhash64(text).alias("th"), text.alias("text"))
-    key, spans_at = ["id", "th"], F.struct("t", "lo", "hi")
-    parse = stored(whole.where(F.octet_length("text") >= length).mapInArrow(_parse(length), RANGES))
-    found, spans, left = _resolve(parse)
-    # the texts that a later level or the result needs, with their open ranges
-    need = found.select(*key).distinct().join(left.groupBy(*key).agg(F.collect_list(spans_at).alias("ranges")), key, "left")
-    texts = stored(whole.join(need, key).dropDuplicates(key))
-    fine = stored(texts.where("ranges is not null").mapInArrow(_refine(length, FINE), RANGES))
-    _, more, left = _resolve(fine)
-    spans = spans.union(more)
-    opened = left.groupBy(*key).agg(F.collect_list(spans_at).alias("ranges"))
-    single = stored(texts.drop("ranges").join(opened, key).mapInArrow(_refine(length, 1), RANGES))
-    spans = spans.union(_resolve(single)[1])
-    spans = spans.groupBy(*key).agg(F.collect_list(F.struct("lo", "hi")).alias("spans"))
-    cut = texts.drop("ranges").join(spans, key).mapInArrow(_cut(length), "id long, th long, n_removed long, n_spans long, kept_sha256 string, kept binary")
-    cut = cut.select(*key, "n_removed", "n_spans", "kept_sha256", *["kept"] * with_bytes)
-    base = whole.select(*key, F.octet_length("text").cast("long").alias("n_bytes"), F.sha2(F.col("text").cast("binary"), 256).alias("own"), *[F.col("text").cast("binary").alias("all")] * with_bytes)
-    out = base.join(cut, key, "left")
-    return out.select(F.nullif("id", F.lit(NO_ID)).alias(id_col), "n_bytes", F.coalesce("n_removed", F.lit(0)).alias("n_removed"), F.coalesce("n_spans", F.lit(0)).alias("n_spans"), F.coalesce("kept_sha256", "own").alias("kept_sha256"), *[F.coalesce("kept", "all").alias("kept")] * with_bytes)
+CUT = ("n_removed", "n_spans", "kept_sha256", "n_passages", "passage_words", "text")
+
+
+def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 400, words: int | None = None, with_text: bool = False) -> DataFrame:
+    """(id, n_bytes, n_removed, n_spans, kept_sha256[, n_passages, passage_words][, text]) for each row of docs.
+
+    The first five tell of strings of `length` bytes.  With `words`, n_passages and passage_words count the maximal
+    runs, and the words in them, of strings of that many words that also start elsewhere.  text is what is left
+    of a text without either; where a cut falls inside a character, that becomes U+FFFD."""
+    laws = [by_bytes(length), *([by_words(words)] if words else [])]
+    source = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    whole = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("id"), F.xxhash64(source).alias("th"), source.alias("text"))
+    key = ["id", "th"]
+    least = min(length, 2 * words - 1) if words else length
+    parse = stored(whole.where(F.octet_length("text") >= least).mapInArrow(_parse(laws), ANCHORS))
+    found = _seen_again(parse)
+    discard(parse)
+    # the texts that a level or the result needs, with their open ranges
+    listed = lambda x: x.groupBy(*key).agg(F.collect_list(F.struct("law", "t", "lo", "hi")).alias("ranges"))
+    texts = stored(whole.join(listed(found), key).dropDuplicates(key))
+    discard(found)
+    asked, spans = texts, None
+    for level in range(3):
+        ranges = stored(asked.mapInArrow(_refine(laws, level), RANGES))
+        more, left = _resolve(ranges)
+        discard(ranges)
+        spans = more if spans is None else spans.union(more)
+        asked = texts.drop("ranges").join(listed(left), key)
+    spans = spans.groupBy(*key).agg(F.collect_list(F.struct("law", "lo", "hi")).alias("spans"))
+    cut = stored(texts.drop("ranges").join(spans, key).mapInArrow(_cut(laws, with_text), "id long, th long, n_removed long, n_spans long, kept_sha256 string, n_passages long, passage_words long, text string"))
+    discard(texts)
+    sizes = [*key, F.octet_length("text").cast("long").alias("n_bytes")]
+    own = [F.lit(0).cast("long").alias("n_removed"), F.lit(0).cast("long").alias("n_spans"), F.sha2(F.col("text").cast("binary"), 256).alias("kept_sha256"), *[F.lit(0).cast("long").alias(c) for c in CUT[3:5]], F.col("text")]
+    touched = whole.select(*sizes).join(cut, key).select(*key, "n_bytes", *CUT)
+    keys = cut.select(*key)
+    others = whole.join(F.broadcast(keys) if keys.count() <= SENT else keys, key, "left_anti").select(*sizes, *own)
+    out = ["n_bytes", *CUT[:3], *(CUT[3:5] if words else ()), *([CUT[5]] if with_text else [])]
+    return others.unionByName(touched).select(F.nullif("id", F.lit(NO_ID)).alias(id_col), *out)

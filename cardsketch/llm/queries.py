@@ -17,7 +17,7 @@ def tokenizer_path() -> str:
 
 
 def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pfp.remove_repeats(documents(spark, sf_dir), length=400)
+    return pfp.remove_repeats(documents(spark, sf_dir), length=400, words=50, with_text=True)
 
 
 def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import keep_least, stored, text_hash
 from .components import components
 
 LARGE, SMALL = 4096, 8
@@ -146,13 +146,18 @@ def links(prints: DataFrame, radius: int = 3) -> DataFrame:
     return x.repartition(n, "key").sortWithinPartitions("key").mapInArrow(_verify(radius), "a long, b long")
 
 
-def classes(prints: DataFrame, radius: int = 3) -> DataFrame:
-    """(f, component_id) for each distinct f of prints (id, f): the least id that links reach."""
+def _rooted(prints: DataFrame, radius: int) -> DataFrame:
+    """(f, root, component_id) for each distinct f of prints (id, f): the least id that links reach."""
     least = stored(prints.groupBy("f").agg(F.min("id").alias("least")))
     roots = components(links(least.select("f"), radius))
     x = least.join(roots.withColumnRenamed("node", "f"), "f", "left").select("f", "least", F.coalesce("root", "f").alias("root"))
     best = x.groupBy("root").agg(F.min("least").alias("component_id"))
-    return x.join(best, "root").select("f", "component_id")
+    return x.join(best, "root").select("f", "root", "component_id")
+
+
+def classes(prints: DataFrame, radius: int = 3) -> DataFrame:
+    """(f, component_id) for each distinct f of prints (id, f)."""
+    return _rooted(prints, radius).drop("root")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = 3) -> DataFrame:
@@ -162,11 +167,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = 3) -> DataFrame:
-    """The rows of docs, all columns, of which one stays of each group: that of the least id; of rows
-    repeated under that id, any one.  Rows with a null id stay only if their group has no other id."""
-    prints = stored(with_fingerprint(docs, id_col, text_col, "f"))
-    member = prints.join(classes(prints, radius), "f").select("id", F.col("component_id").alias("c"), "f")
-    kept = member.where(F.col("id").eqNullSafe(F.col("c"))).groupBy(F.col("id").alias("__id")).agg(F.count("*").alias("__n"))
-    kept = stored(kept)
-    out = docs.join(kept.select("__id"), F.col(id_col).cast("long").eqNullSafe(F.col("__id")), "left_semi")
-    return out.dropDuplicates([id_col]) if kept.where("__n > 1").head(1) else out
+    """The rows of docs, all columns, of which one stays of each group (keep_least says which)."""
+    x = docs.select(F.col(id_col).cast("long").alias("id"), text_hash(text_col).alias("th"), F.col(text_col).cast("string").alias("text"))
+    prints = stored(x.mapInArrow(_fingerprints("f", "text"), "id long, th long, f long"))
+    return keep_least(docs, prints.join(_rooted(prints, radius), "f").select("id", "th", "root", "component_id"), id_col, text_col)

@@ -57,7 +57,7 @@ def features(texts: list[str], bits: int = BITS) -> tuple[np.ndarray, np.ndarray
     return np.concatenate(at), np.concatenate(out)
 
 
-def split_texts(texts: list[str], most: int = 1 << 21):
+def split_texts(texts: list[str], most: int = 1 << 18):
     """Consecutive texts of about `most` characters together, as (first, texts)."""
     first, size = 0, 0
     for i, t in enumerate(texts):
