@@ -20,7 +20,6 @@ strings of one text.  Only the id and text columns are read, whatever other colu
 from __future__ import annotations
 
 import hashlib
-import re
 from dataclasses import dataclass
 
 import numpy as np
@@ -109,17 +108,29 @@ def anchors(buf: bytes, law: Law):
         cut = np.flatnonzero(np.diff(at)) + 1
         lo, hi = np.concatenate(([0], cut)) + base, np.concatenate((cut, [windows])) - 1 + base
         t = at[lo - base]
-        s = np.fromiter((xxhash.xxh3_64_intdigest(buf[a:a + shared], law.unit) for a in (t * law.unit).tolist()), np.uint64, len(t))
-        yield t, lo, hi, s.view(np.int64)
+        x, seed = xxhash.xxh3_64_digest, law.unit
+        s = np.frombuffer(b"".join([x(buf[a:a + shared], seed) for a in (t * law.unit).tolist()]), ">u8")
+        yield t, lo, hi, s.astype(np.uint64).view(np.int64)
 
 
-def _keys(buf: bytes, law: Law, t: int, lo: int, hi: int, width: int) -> tuple[int, int, int]:
-    """Keys of the windows lo..hi of trigger t: of the units shared by any `width` windows aligned
-    to the trigger, and of all units covered."""
-    near, u = (t - hi) // width * width, law.unit
-    s = xxhash.xxh3_64_intdigest(buf[(t - near) * u:(t - near - width + 1 + law.length) * u], seed=2 * near + (u > 1))
-    b = xxhash.xxh3_128_intdigest(buf[lo * u:(hi + law.length) * u], seed=2 * (t - lo) + (u > 1))
-    return s, b & 0xFFFFFFFFFFFFFFFF, b >> 64
+def pieces(law: np.ndarray, t: np.ndarray, lo: np.ndarray, hi: np.ndarray, width: np.ndarray) -> tuple[np.ndarray, ...]:
+    """(place, near, lo, hi): ranges cut at multiples of their width from their triggers; near is the least of them
+    that a piece has."""
+    first, last = (t - hi) // width, (t - lo) // width
+    n = last - first + 1
+    at = np.repeat(np.arange(len(t)), n)
+    near = (np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + first[at]) * width[at]
+    return at, near, np.maximum(lo[at], t[at] - near - width[at] + 1), np.minimum(hi[at], t[at] - near)
+
+
+def _keys(buf: bytes, law: Law, width: int, t: list[int], near: list[int], lo: list[int], hi: list[int]) -> tuple[bytes, bytes]:
+    """Keys of pieces of ranges, joined: of the units shared by any `width` windows aligned to the trigger (8 bytes),
+    and of all units covered (16)."""
+    u, word, shared = law.unit, law.unit > 1, law.length - width + 1
+    x, y = xxhash.xxh3_64_digest, xxhash.xxh3_128_digest
+    s = b"".join([x(buf[(a - n) * u:(a - n + shared) * u], 2 * n + word) for a, n in zip(t, near)])
+    b = b"".join([y(buf[p * u:(q + law.length) * u], 2 * (a - p) + word) for a, p, q in zip(t, lo, hi)])
+    return s, b
 
 
 def _parse(laws: list[Law]):
@@ -147,35 +158,38 @@ def _parse(laws: list[Law]):
     return run
 
 
+def _flat(column: pa.Array, names: tuple[str, ...]) -> tuple[np.ndarray, ...]:
+    """(row, fields...) of a column of lists of structs, null being empty."""
+    size = column.value_lengths().fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64)
+    flat = column.flatten()
+    return (np.repeat(np.arange(len(column)), size), *(flat.field(n).to_numpy(zero_copy_only=False).astype(np.int64) for n in names))
+
+
 def _refine(laws: list[Law], level: int):
     """From (id, th, text, ranges): the ranges cut at multiples of the level's width from their triggers."""
     names = [x.split()[0] for x in RANGES.split(", ")]
-
-    def table(cols) -> pa.RecordBatch:
-        long = lambda v: pa.array(np.array(v, np.uint64).view(np.int64))
-        i, th, law, t, lo, hi, s, b1, b2 = cols
-        return pa.RecordBatch.from_arrays([pa.array(i, pa.int64()), pa.array(th, pa.int64()), pa.array(law, pa.int8()), *(pa.array(x, pa.int32()) for x in (t, lo, hi)), long(s), long(b1), long(b2)], names=names)
+    widths = np.array([x.widths[level] for x in laws], np.int64)
 
     def run(batches):
         for batch in batches:
-            cols: list[list[int]] = [[] for _ in names]
-            for i, th, text, ranges in zip(batch["id"].to_pylist(), batch["th"].to_pylist(), batch["text"], batch["ranges"]):
-                raw, units = (text.as_py() or "").encode(), {}
-                for r in ranges.as_py() or ():
-                    k, t, hi = r["law"], r["t"], r["hi"]
-                    law, width = laws[k], laws[k].widths[level]
-                    if k not in units:
-                        units[k] = law.units(raw)
-                    while hi >= r["lo"]:
-                        lo = max(r["lo"], t - ((t - hi) // width + 1) * width + 1)
-                        for c, v in zip(cols, (i, th, k, t, lo, hi, *_keys(units[k], law, t, lo, hi, width))):
-                            c.append(v)
-                        hi = lo - 1
-                if len(cols[0]) > 50_000:
-                    yield table(cols)
-                    cols = [[] for _ in names]
-            if cols[0]:
-                yield table(cols)
+            row, law, t, lo, hi = _flat(batch["ranges"], ("law", "t", "lo", "hi"))
+            o = np.lexsort((law, row))
+            row, law, t, lo, hi = (x[o] for x in (row, law, t, lo, hi))
+            at, near, lo, hi = pieces(law, t, lo, hi, widths[law])
+            row, law, t = row[at], law[at], t[at]
+            cut = np.flatnonzero(np.concatenate(([True], (np.diff(row) != 0) | (np.diff(law) != 0), [True]))) if len(row) else np.zeros(1, int)
+            ids, ths, held, first = batch["id"].to_numpy(), batch["th"].to_numpy(), [], 0
+            for i, (a, b) in enumerate(zip(cut, cut[1:])):
+                k = laws[law[a]]
+                units = k.units((batch["text"][int(row[a])].as_py() or "").encode())
+                held.append(_keys(units, k, k.widths[level], *(x[a:b].tolist() for x in (t, near, lo, hi))))
+                if b - first > 50_000 or i == len(cut) - 2:
+                    part = slice(first, b)
+                    s, two = (np.frombuffer(b"".join(x), ">u8").astype(np.uint64).view(np.int64) for x in zip(*held))
+                    r = row[part]
+                    columns = [pa.array(ids[r]), pa.array(ths[r]), pa.array(law[part].astype(np.int8)), *(pa.array(x[part].astype(np.int32)) for x in (t, lo, hi)), pa.array(s), pa.array(two[::2]), pa.array(two[1::2])]
+                    yield pa.RecordBatch.from_arrays(columns, names=names)
+                    held, first = [], b
     return run
 
 
@@ -201,39 +215,56 @@ def _resolve(ranges: DataFrame) -> tuple[DataFrame, DataFrame]:
     return whole, left
 
 
-def _runs(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
-    """The union of half-open spans as maximal runs; runs that touch are one."""
-    out: list[tuple[int, int]] = []
-    for a, b in sorted(spans):
-        if out and a <= out[-1][1]:
-            out[-1] = out[-1][0], max(b, out[-1][1])
-        else:
-            out.append((a, b))
-    return out
+def runs(group: np.ndarray, lo: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(group, start, end): the unions of half-open spans of each group, as maximal runs in order; runs that touch are one."""
+    o = np.lexsort((lo, group))
+    base = group[o] << 40  # no text is so long
+    a, b = lo[o] + base, end[o] + base
+    far = np.maximum.accumulate(b) if len(b) else b
+    new = np.concatenate(([True], a[1:] > far[:-1])) if len(a) else np.zeros(0, bool)
+    last = np.concatenate((np.flatnonzero(new)[1:] - 1, [len(a) - 1])) if len(a) else np.zeros(0, int)
+    g = group[o][new]
+    return g, a[new] - (g << 40), far[last] - (g << 40)
+
 
+def _without(buf: bytes, cut: list[tuple[int, int]]) -> bytes:
+    ends = [0, *(b for _, b in cut)]
+    return b"".join([buf[a:b] for a, b in zip(ends, [*(a for a, _ in cut), len(buf)])])
 
-def _without(buf: bytes, runs: list[tuple[int, int]]) -> bytes:
-    ends = [0, *(b for _, b in runs)]
-    return b"".join(buf[a:b] for a, b in zip(ends, [*(a for a, _ in runs), len(buf)]))
+
+def _word_places(buf: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """Starts and ends of the words of a text, in bytes."""
+    x = np.frombuffer(buf, np.uint8)
+    edge = np.flatnonzero(np.diff(np.concatenate(([0], ((x != 32) & ((x < 9) | (x > 13))).view(np.int8), [0]))))
+    return edge[::2], edge[1::2]
 
 
 def _cut(laws: list[Law], with_text: bool):
     """From (id, th, text, spans): what is removed from each text, and what is left of it."""
+    lengths = np.array([x.length for x in laws], np.int64)
+
     def run(batches):
         for batch in batches:
+            row, law, lo, hi = _flat(batch["spans"], ("law", "lo", "hi"))
+            g, a, b = runs(row * 2 + law, lo, hi + lengths[law])
+            at = np.searchsorted(g, np.arange(2 * batch.num_rows + 1))
             rows = []
-            for i, th, text, spans in zip(batch["id"].to_pylist(), batch["th"].to_pylist(), batch["text"], batch["spans"]):
+            for i, text in enumerate(batch["text"]):
                 buf = (text.as_py() or "").encode()
-                per = [_runs([(x["lo"], x["hi"] + law.length) for x in spans.as_py() if x["law"] == k]) for k, law in enumerate(laws)]
-                kept, words = _without(buf, per[0]), per[1] if len(per) > 1 else []
-                left = None
-                if with_text:
-                    at = [m.span() for m in re.finditer(rb"[^\x20\x09-\x0D]+", buf)] if words else []
-                    left = _without(buf, _runs([*per[0], *((at[a][0], at[b - 1][1]) for a, b in words)])).decode("utf-8", "replace")
-                rows.append((i, th, sum(b - a for a, b in per[0]), len(per[0]), hashlib.sha256(kept).hexdigest(), len(words), sum(b - a for a, b in words), left))
-            cols = list(zip(*rows)) or [[]] * 8
-            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string())
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], names=["id", "th", *CUT])
+                p, q, r = at[2 * i:2 * i + 3].tolist()
+                own, words = list(zip(a[p:q].tolist(), b[p:q].tolist())), list(zip(a[q:r].tolist(), b[q:r].tolist()))
+                kept, left = _without(buf, own), None
+                if with_text and words:
+                    start, end = _word_places(buf)
+                    x = np.array([*own, *((start[c], end[d - 1]) for c, d in words)], np.int64)
+                    _, c, d = runs(np.zeros(len(x), np.int64), x[:, 0], x[:, 1])
+                    left = _without(buf, list(zip(c.tolist(), d.tolist()))).decode("utf-8", "replace")
+                elif with_text:
+                    left = kept.decode("utf-8", "replace")
+                rows.append((sum(y - x for x, y in own), len(own), hashlib.sha256(kept).hexdigest(), len(words), sum(y - x for x, y in words), left))
+            cols = list(zip(*rows)) or [[]] * 6
+            kinds = (pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string())
+            yield pa.RecordBatch.from_arrays([batch["id"], batch["th"], *(pa.array(c, k) for c, k in zip(cols, kinds))], names=["id", "th", *CUT])
     return run
 
 
