@@ -17,18 +17,19 @@ import re
 import sys
 import zlib
 from array import array
+from types import ModuleType
 
 import numpy as np
 import pyarrow as pa
 from pyspark.errors import AnalysisException
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import ranked, spread_for, stored
 
 CAPACITY, CLOSE = 4096, 1
-#: Words whose ids a worker keeps.
-CACHED_WORDS = 600_000
+#: Words whose ids a worker keeps; results don't depend on it.
+CACHED_WORDS = 150_000
 
 
 class OpenCapacities:
@@ -104,6 +105,27 @@ def _byte_letters() -> dict[int, str]:
     return {b: chr(b) for b in own} | {b: chr(256 + i) for i, b in enumerate(rest)}
 
 
+# fixed values: the settings of the vocabulary on which word_ids rests
+NORMALISER = [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": "\\s+"}, "content": " "}, {"type": "Lowercase"}]
+SPLITTER = [
+    {"type": "Split", "pattern": {"Regex": "'s|'t|'re|'ve|'m|'ll|'d|[\\p{L}]+|[\\p{N}]|[^\\s\\p{L}\\p{N}]+"}, "behavior": "Removed", "invert": True},
+    {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": False},
+]
+
+
+def splits_at_spaces(path: str) -> bool:
+    """Whether a vocabulary file has those settings; texts go through any other as they are."""
+    with open(path, encoding="utf-8") as f:
+        d = json.load(f)
+    n, p, m = d.get("normalizer") or {}, d.get("pre_tokenizer") or {}, d.get("model") or {}
+    return n.get("normalizers") == NORMALISER and p.get("pretokenizers") == SPLITTER and m.get("type") == "BPE" and m.get("dropout") is None and not m.get("ignore_merges")
+
+
+def _shelf() -> dict:
+    """What a worker keeps from task to task: functions come pickled by value, so no variable of this module lasts."""
+    return sys.modules.setdefault("cardsketch_worker", ModuleType("cardsketch_worker")).__dict__.setdefault("shelf", {})
+
+
 def word_ids(path: str):
     """A function from text to its ids as unsigned 32-bit little-endian bytes.
 
@@ -114,10 +136,12 @@ def word_ids(path: str):
     """
     from tokenizers import Tokenizer
 
-    shelf = sys.__dict__.setdefault("_cardsketch_word_ids", {})
+    shelf = _shelf()
     if path not in shelf:
-        shelf[path] = Tokenizer.from_file(path), {}
-    whole, cache = shelf[path]
+        shelf[path] = Tokenizer.from_file(path), {}, splits_at_spaces(path)
+    whole, cache, short = shelf[path]
+    if not short:
+        return lambda text: np.array(whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
     merge, letters, pack = whole.model.tokenize, _byte_letters(), np.array
 
     def letters_only(w: str) -> bool:
@@ -175,19 +199,22 @@ def word_ids(path: str):
 CELL_BITS = 13
 
 
-def with_place(docs: DataFrame, name: str = "place") -> DataFrame:
-    """docs with a long that rises with the order in which its rows were written: by file, as numbered
+def with_place(docs: DataFrame, name: str = "place", columns: list[Column] | None = None) -> DataFrame:
+    """docs, or columns of it, with a long that rises with the order in which its rows were written: by file, as numbered
     by the task that wrote it, then by the row's number in its file.  Reading deals files and their
     parts out in an order of its own, which this doesn't depend on.  Rows of other DataFrames have the order of their partitions."""
+    own = [F.col(f"`{c}`") for c in docs.columns] if columns is None else columns
+    mine = [f"v{i}" for i in range(len(own))]
     try:
-        x = docs.select("*", F.col("_metadata.file_path").alias("__file"), F.col("_metadata.row_index").alias("__row"))
+        x = docs.select(*[c.alias(m) for c, m in zip(own, mine)], F.col("_metadata.file_path").alias("at_file"), F.col("_metadata.row_index").alias("at_row"))
     except AnalysisException:
-        return docs.withColumn(name, F.monotonically_increasing_id())
+        return docs.select(*own, F.monotonically_increasing_id().alias(name))
     files = sorted((f.rsplit("/", 1)[-1] for f in docs.inputFiles()), key=lambda f: (int((re.match(r"part-(\d+)", f) or [0, 0])[1]), f))
     number = F.map_from_arrays(*[F.from_json(F.lit(json.dumps(v)), f"array<{t}>") for v, t in ((files, "string"), (list(range(len(files))), "long"))])
-    at = F.broadcast(docs.sparkSession.range(1).select(F.explode(number).alias("__name", "__number")))
-    x = x.join(at, F.substring_index("__file", "/", -1) == F.col("__name"), "left")
-    return x.select(*[F.col(f"`{c}`") for c in docs.columns], (F.shiftleft(F.col("__number"), 33) + F.col("__row")).alias(name))
+    at = F.broadcast(docs.sparkSession.range(1).select(F.explode(number).alias("at_name", "at_number")))
+    x = x.join(at, F.substring_index("at_file", "/", -1) == F.col("at_name"), "left")
+    names = docs.select(*own).columns
+    return x.select(*[F.col(m).alias(c) for m, c in zip(mine, names)], (F.shiftleft(F.col("at_number"), 33) + F.col("at_row")).alias(name))
 
 
 def _pieces(path: str, capacity: int, close: int):
@@ -230,8 +257,8 @@ def _numbered(x: DataFrame) -> DataFrame:
 def pack(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col: str = "text", capacity: int = CAPACITY, close: int = CLOSE, in_order: bool = False) -> DataFrame:
     """(id, piece, start, length, ids_crc32, sequence_id, offset): the place of each piece.
     With in_order, the order in which docs was written ranks like pieces and numbers sequences."""
-    made = with_place(docs) if in_order else docs.withColumn("place", F.lit(0).cast("long"))
-    made = made.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"), "place")
+    own = [F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")]
+    made = with_place(docs, columns=own) if in_order else docs.select(*own, F.lit(0).cast("long").alias("place"))
     made = stored(made.mapInArrow(_pieces(tokenizer_path, capacity, close), "id long, piece int, start long, length long, ids_crc32 long, place long"))
     counts = {r["length"]: r["n"] for r in made.groupBy("length").agg(F.count("*").alias("n")).collect()}  # capacity rows at most
     plan = np.array(sorted(best_fit_plan(counts, capacity)), np.int64).reshape(-1, 6)
