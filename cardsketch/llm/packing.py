@@ -207,14 +207,18 @@ def with_place(docs: DataFrame, name: str = "place", columns: list[Column] | Non
     mine = [f"v{i}" for i in range(len(own))]
     try:
         x = docs.select(*[c.alias(m) for c, m in zip(own, mine)], F.col("_metadata.file_path").alias("at_file"), F.col("_metadata.row_index").alias("at_row"))
+        names = docs.inputFiles()
     except AnalysisException:
+        names = []
+    if not names:
         return docs.select(*own, F.monotonically_increasing_id().alias(name))
-    files = sorted((f.rsplit("/", 1)[-1] for f in docs.inputFiles()), key=lambda f: (int((re.match(r"part-(\d+)", f) or [0, 0])[1]), f))
+    files = sorted((f.rsplit("/", 1)[-1] for f in names), key=lambda f: (int((re.match(r"part-(\d+)", f) or [0, 0])[1]), f))
     number = F.map_from_arrays(*[F.from_json(F.lit(json.dumps(v)), f"array<{t}>") for v, t in ((files, "string"), (list(range(len(files))), "long"))])
     at = F.broadcast(docs.sparkSession.range(1).select(F.explode(number).alias("at_name", "at_number")))
     x = x.join(at, F.substring_index("at_file", "/", -1) == F.col("at_name"), "left")
-    names = docs.select(*own).columns
-    return x.select(*[F.col(m).alias(c) for m, c in zip(mine, names)], (F.shiftleft(F.col("at_number"), 33) + F.col("at_row")).alias(name))
+    # a file that is none of them comes last
+    number = F.coalesce("at_number", F.lit(len(files)).cast("long"))
+    return x.select(*[F.col(m).alias(c) for m, c in zip(mine, docs.select(*own).columns)], (F.shiftleft(number, 33) + F.col("at_row")).alias(name))
 
 
 def _pieces(path: str, capacity: int, close: int):
