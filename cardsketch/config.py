@@ -13,11 +13,20 @@ class SketchConfig:
     rho_bits: int = 60
     small_range: bool = True
     threshold: float = 2.5  # linear counting below threshold * m
+    layout: str = "words"  # cell and draw from two hash words, any m; or "top": m = 2**b, the first b bits of one word
+    nulls: str = "drop"  # as COUNT(DISTINCT) does; or "keep": null is a value like any other
+    strings: str = "exact"  # or "folded": without spaces around, in lower case
 
     def __post_init__(self) -> None:
-        if self.m < 1 or self.family not in ("xxhash64", "md5") or not 1 <= self.rho_bits <= 60:
+        bad = self.m < 1 or self.family not in ("xxhash64", "md5") or not 1 <= self.rho_bits <= 60
+        bad = bad or self.layout not in ("words", "top") or self.nulls not in ("drop", "keep") or self.strings not in ("exact", "folded")
+        if bad or self.layout == "top" and self.m & (self.m - 1):
             raise ValueError(f"no such sketch: {self}")
 
+    @property
+    def cell_bits(self) -> int:
+        return self.m.bit_length() - 1
+
 
 #: For queries that DuckDB repeats.
 def portable(m: int, seed: int = 0, **kw) -> SketchConfig:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from functools import lru_cache
+from functools import wraps
 
 import numpy as np
 
@@ -12,6 +12,19 @@ LOGLOG = 0.39701  # fixed value: large-m bias of the geometric-mean estimator
 PANELS, NODES = 100, 20
 
 
+def remembered(f):
+    """f, with its results kept; a plain function, which is pickled by value for executors."""
+    kept: dict = {}
+
+    @wraps(f)
+    def g(*args, **options):
+        key = (args, *sorted(options.items()))
+        if key not in kept:
+            kept[key] = f(*args, **options)
+        return kept[key]
+    return g
+
+
 def f_hll(u):
     return np.log2((2 + u) / (1 + u))
 
@@ -20,14 +33,14 @@ def f_nb(u):
     return f_hll(u) + np.log2((4 + 3 * u) / (3 + 3 * u)) - np.log2((4 + u) / (3 + u))
 
 
-@lru_cache(None)
+@remembered
 def _nodes() -> tuple[np.ndarray, np.ndarray]:
     x, w = np.polynomial.legendre.leggauss(NODES)
     left = np.arange(PANELS)[:, None]
     return ((left + (x + 1) / 2) / PANELS).ravel(), np.tile(w / (2 * PANELS), PANELS)
 
 
-@lru_cache(None)
+@remembered
 def integral(kind: str, m: int, power: int) -> float:
     """Integral of u**power * f(u)**m; u = c s / (1 - s) with c of the width of the peak."""
     s, w = _nodes()
@@ -39,7 +52,7 @@ def integral(kind: str, m: int, power: int) -> float:
     return float((w * y * u**power * c / (1 - s) ** 2).sum())
 
 
-@lru_cache(None)
+@remembered
 def gamma(m: int, how: str = "integral") -> float:
     if how == "limit":
         return 2 / (3 * LN2)
@@ -48,7 +61,7 @@ def gamma(m: int, how: str = "integral") -> float:
     return 1 / (m * integral("nb", m, 0))
 
 
-@lru_cache(None)
+@remembered
 def alpha(m: int, how: str = "integral") -> float:
     return 1 / (2 * LN2) if how == "limit" else 1 / (m * integral("hll", m, 0))
 
@@ -58,7 +71,7 @@ def laplace(m: int, power: int) -> float:
     return a * (1 + c / m) if power == 0 else a * a * (1 + 3 * c / m)
 
 
-@lru_cache(None)
+@remembered
 def variance(kind: str, m: int | None) -> float:
     """m times the relative variance of a mergeable estimator; the limit where m is None."""
     if kind == "pcsa":

@@ -26,6 +26,13 @@ def p_pair(k: int, seen: int, n: int) -> float:
     return unseen if not seen else p_top(k, n) - unseen
 
 
+def p_pair_printed(k: int, seen: int, n: int) -> float:
+    """The law as a product, which takes the rank under the largest to be missed independently of it: it
+    agrees with p_pair for many arrivals only."""
+    missed = (1 - 2.0 ** (1 - k)) ** n if k >= 1 else 0.0
+    return p_top(k, n) * (1 - missed if seen else missed)
+
+
 def cell_terms(kind: str, n: int, depth: int = 50) -> list[tuple[float, float]]:
     """(term, probability) of one cell after n arrivals."""
     if kind == "hll":
@@ -64,6 +71,26 @@ def poisson_cell(kind: str, x: float, u: float, depth: int = 60) -> float:
     return float((np.exp(-u * x * s) * (e(1) - e(2) - unseen) + np.exp(-3 * u * x * s) * unseen).sum())
 
 
+def integrand(x: float, u: float, form: str = "simplified", depth: int = 80) -> float:
+    """The transform of a cell with x arrivals on average, at u x: with the terms of x / 4**k that the product law
+    gives ("printed"), or without ("simplified"), which is the exact law's but for k = 1."""
+    k = np.arange(1, depth)
+    s = 2.0**-k
+    q = s * s if form == "printed" else 0.0
+    pair = np.exp(-x * (3 * s - 2 * q)) - np.exp(-x * (4 * s - 4 * q))
+    return float(((np.exp(-x * s) - np.exp(-2 * x * s)) * np.exp(-u * x * s) + pair * (np.exp(-3 * u * x * s) - np.exp(-u * x * s))).sum())
+
+
+def mean_error(m: int, x: float = 1e5) -> float:
+    """m times the difference between the mean of the poissonised indicator over n / m and the integral of f**m."""
+    s, w = np.polynomial.legendre.leggauss(400)
+    s, w = (s + 1) / 2, w / 2
+    c = 8.0 / m
+    u = c * s / (1 - s)
+    g = np.array([integrand(x, v) for v in u])
+    return float(m * (w * (g**m - f_nb(u) ** m) * c / (1 - s) ** 2).sum())
+
+
 def harmonic_sum(a: float, b: float, x: float = 1e5, depth: int = 80) -> float:
     """Sum over k of exp(-a x / 2**k) - exp(-b x / 2**k), which tends to log2(b / a)."""
     k = np.arange(1, depth)

@@ -1,4 +1,6 @@
-"""Sketches at rest: fixed-width packed bits in one binary per group, and back."""
+"""Sketches at rest: fixed-width packed bits in one binary per group, and back.
+
+Tail-cut sketches have their base in a byte before the offsets."""
 
 from __future__ import annotations
 
@@ -7,7 +9,9 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-WIDTHS = {"hll": (6,), "nb": (6, 1), "pcsa": (61,)}
+WIDTHS = {"hll": (6,), "nb": (6, 1), "pcsa": (64,), "tc_hll": (4,), "tc_nb": (4, 1)}
+#: The columns that a kind keeps of a cell.
+COLUMNS = {"hll": ["top"], "nb": ["top", "nbr"], "pcsa": ["bitmap"], "tc_hll": ["top"], "tc_nb": ["top", "nbr"]}
 
 
 def _bits(x: np.ndarray, width: int) -> np.ndarray:
@@ -15,24 +19,35 @@ def _bits(x: np.ndarray, width: int) -> np.ndarray:
 
 
 def pack_cells(kind: str, columns: list[np.ndarray]) -> bytes:
-    """One row of values a cell, all m cells in order."""
-    return np.packbits(np.concatenate([_bits(c.astype(np.int64), w) for c, w in zip(columns, WIDTHS[kind])], axis=1).ravel()).tobytes()
+    """One row of values a cell, all m cells in order.  Offsets of a tail-cut sketch that don't fit are cut."""
+    head, columns = b"", [c.astype(np.int64) for c in columns]
+    if kind.startswith("tc"):
+        base = int(columns[0].min())
+        head, columns = bytes([base]), [np.minimum(columns[0] - base, 15), *columns[1:]]
+    return head + np.packbits(np.concatenate([_bits(c, w) for c, w in zip(columns, WIDTHS[kind])], axis=1).ravel()).tobytes()
 
 
 def unpack_cells(kind: str, payload: bytes, m: int) -> list[np.ndarray]:
-    widths = WIDTHS[kind]
+    widths, base = WIDTHS[kind], 0
+    if kind.startswith("tc"):
+        base, payload = payload[0], payload[1:]
     flat = np.unpackbits(np.frombuffer(payload, np.uint8))[: m * sum(widths)].reshape(m, -1).astype(np.int64)
     out, at = [], 0
     for w in widths:
         out.append((flat[:, at:at + w] << np.arange(w)).sum(axis=1))
         at += w
-    return out
+    return [out[0] + base, *out[1:]]
+
+
+def payload_bytes(kind: str, m: int) -> int:
+    return -(-m * sum(WIDTHS[kind]) // 8) + kind.startswith("tc")
 
 
 def blobs(rows: DataFrame, m: int, kind: str = "nb", by: list[str] = ()) -> DataFrame:
-    """(by..., kind, m, payload) from (by..., bucket, top, nbr), or bitmap for pcsa: m rows a group at most."""
+    """(by..., kind, m, payload) from (by..., bucket, top, nbr), or bitmap for pcsa: m rows a group at most.
+    Only groups and their cells are in Python."""
     by = list(by)
-    cols = {"hll": ["top"], "nb": ["top", "nbr"], "pcsa": ["bitmap"]}[kind]
+    cols = COLUMNS[kind]
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         full = [np.ones(m, np.int64) if c == "nbr" else np.zeros(m, np.int64) for c in cols]
@@ -45,7 +60,8 @@ def blobs(rows: DataFrame, m: int, kind: str = "nb", by: list[str] = ()) -> Data
 
 
 def cells(blob: DataFrame, by: list[str] = ()) -> DataFrame:
-    """(by..., bucket, top, nbr) of the filled cells in nb and hll blobs."""
+    """(by..., bucket, top, nbr, bitmap) of the filled cells; what a kind doesn't keep is 1 for nbr, null for bitmap,
+    and top and nbr of a bitmap are read from it."""
     by = list(by)
 
     def run(batches):
@@ -53,12 +69,17 @@ def cells(blob: DataFrame, by: list[str] = ()) -> DataFrame:
             out = []
             for r in pdf.itertuples():
                 v = unpack_cells(r.kind, r.payload, r.m)
-                x = pd.DataFrame({"bucket": np.arange(r.m, dtype=np.int32), "top": v[0].astype(np.int8), "nbr": (v[1] if len(v) > 1 else np.ones(r.m, int)).astype(np.int8)})
+                if r.kind == "pcsa":
+                    top = np.array([int(b).bit_length() for b in v[0]])
+                    nbr = np.where(top < 2, 1, (v[0] >> np.maximum(top - 2, 0)) & 1)
+                else:
+                    top, nbr = v[0], v[1] if len(v) > 1 else np.ones(r.m, int)
+                x = pd.DataFrame({"bucket": np.arange(r.m, dtype=np.int32), "top": top.astype(np.int8), "nbr": nbr.astype(np.int8), "bitmap": pd.array(v[0], "Int64") if r.kind == "pcsa" else pd.array([None] * r.m, "Int64")})
                 for c in by:
                     x[c] = getattr(r, c)
-                out.append(x[x["top"] > 0][[*by, "bucket", "top", "nbr"]])
+                out.append(x[x["top"] > 0][[*by, "bucket", "top", "nbr", "bitmap"]])
             if out:
                 yield pd.concat(out)
 
     kinds = "".join(f"{c} {dict(blob.dtypes)[c]}, " for c in by)
-    return blob.select(*by, "kind", "m", "payload").mapInPandas(run, f"{kinds}bucket int, top tinyint, nbr tinyint")
+    return blob.select(*by, "kind", "m", "payload").mapInPandas(run, f"{kinds}bucket int, top tinyint, nbr tinyint, bitmap long")

@@ -20,3 +20,14 @@ def builtin_approx(df: DataFrame, col: str, by: list[str] = (), rsd: float = 0.0
 
 def builtin_hll(df: DataFrame, col: str, by: list[str] = (), lg: int = 12) -> DataFrame:
     return df.groupBy(*by).agg(F.hll_sketch_estimate(F.hll_sketch_agg(col, lg)).alias("n"))
+
+
+def builtin_union(df: DataFrame, col: str, shard: str, lg: int = 12) -> DataFrame:
+    """The engine's sketches of each shard, merged."""
+    s = df.groupBy(shard).agg(F.hll_sketch_agg(col, lg).alias("sketch"))
+    return s.agg(F.hll_sketch_estimate(F.hll_union_agg("sketch")).alias("n"))
+
+
+def exact_many(df: DataFrame, cols: list[str], by: list[str] = ()) -> DataFrame:
+    """Several exact counts at once, for which the engine makes a copy of each row by column."""
+    return df.groupBy(*by).agg(*[F.countDistinct(c).alias(f"n_{c}") for c in cols])

@@ -22,6 +22,25 @@ def coverage(est: DataFrame, truth: str, by: list[str] = ()) -> DataFrame:
     return est.groupBy(*by).agg(F.avg(((F.col("lo") <= F.col(truth)) & (F.col(truth) <= F.col("hi"))).cast("double")).alias("coverage"))
 
 
+def update_cost(df: DataFrame, col: str, cfg: SketchConfig, kinds: tuple[str, ...] = ("nb", "hll", "loglog", "pcsa")) -> list[tuple[str, int, float, float]]:
+    """(method, rows, seconds, rows a second) of counting a column, of the engine's own ways and of exact counts.
+    Each is run, so this is for measuring."""
+    import time
+
+    from . import exact
+    from .estimators import estimate
+
+    ways = {k: estimate(df, col, cfg, k) for k in kinds}
+    ways |= {"approx_count_distinct": exact.builtin_approx(df, col), "hll_sketch_agg": exact.builtin_hll(df, col), "exact": exact.exact_distinct(df, col)}
+    rows, out = df.count(), []
+    for name, x in ways.items():
+        began = time.perf_counter()
+        x.collect()  # a row
+        took = time.perf_counter() - began
+        out.append((name, rows, took, rows / took))
+    return out
+
+
 def mvp(kind: str) -> float:
     """Bits times relative variance, in the limit of many cells."""
     if kind == "entropy":

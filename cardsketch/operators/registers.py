@@ -20,6 +20,13 @@ def build(df: DataFrame, cols: str | list[str], cfg: SketchConfig, by: list[str]
     return split(df, cols, cfg, list(by)).groupBy(*by, "bucket").agg(F.bit_or("bit").alias("bitmap"))
 
 
+def build_segments(df: DataFrame, cols: str | list[str], cfg: SketchConfig, segments: dict[str, Column]) -> DataFrame:
+    """(segment, bucket, bitmap) of several conditions, which may overlap, from one scan and one aggregation."""
+    x = split(df, cols, cfg, keep=[F.coalesce(c, F.lit(False)).alias(f"__s{i}") for i, c in enumerate(segments.values())])
+    x = x.groupBy("bucket").agg(*[F.bit_or(F.when(F.col(f"__s{i}"), F.col("bit"))).alias(n) for i, n in enumerate(segments)])
+    return x.unpivot(["bucket"], list(segments), "segment", "bitmap").where("bitmap is not null")
+
+
 def top_of(bitmap: Column) -> Column:
     return rho(bitmap)
 
@@ -64,7 +71,7 @@ def merge_pairs(sketches: list[DataFrame], by: list[str] = ()) -> DataFrame:
 
 def _mergeable(sketches: list[DataFrame]) -> None:
     for s in sketches:
-        if {"est", "q_before"} & set(s.columns):
+        if any(f.metadata.get("sequential") or f.name in ("est", "q_before") for f in s.schema.fields):
             raise ValueError("sequential states depend on the order of arrival and cannot be merged")
 
 

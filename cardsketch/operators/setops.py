@@ -6,7 +6,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..config import SketchConfig
-from .estimators import from_sums, sums
+from ..sources.tables import stored
+from .estimators import from_sums, sums, term
+from .registers import gap_of, nbr_of, top_of
 
 
 def set_sizes(a: DataFrame, b: DataFrame, cfg: SketchConfig, kind: str = "nb") -> DataFrame:
@@ -23,14 +25,24 @@ def set_sizes(a: DataFrame, b: DataFrame, cfg: SketchConfig, kind: str = "nb") -
 
 
 def pairwise_jaccard(sketch: DataFrame, group: str, cfg: SketchConfig, kind: str = "nb") -> DataFrame:
-    """(a, b, jaccard) for all pairs of a small set of groups, through their common cells."""
-    names = sketch.select(group).distinct()
-    ordered = names.select(F.col(group).alias("a")).join(names.select(F.col(group).alias("b")), F.col("a") < F.col("b"))
-    cells = F.broadcast(ordered)  # pairs of groups: for tens of groups
-    left = cells.join(sketch.withColumnRenamed(group, "a"), "a")
-    right = cells.join(sketch.withColumnRenamed(group, "b"), "b")
-    union = left.unionByName(right).groupBy("a", "b", "bucket").agg(F.bit_or("bitmap").alias("bitmap"))
-    u = from_sums(sums(union, cfg.m, ["a", "b"]), kind, cfg, ["a", "b"]).select("a", "b", F.col("estimate").alias("n_union"))
-    one = from_sums(sums(sketch, cfg.m, [group]), kind, cfg, [group]).select(F.col(group).alias("g"), "estimate")
-    x = u.join(one.select(F.col("g").alias("a"), F.col("estimate").alias("n_a")), "a").join(one.select(F.col("g").alias("b"), F.col("estimate").alias("n_b")), "b")
-    return x.select("a", "b", (F.greatest(F.lit(0.0), F.col("n_a") + F.col("n_b") - F.col("n_union")) / F.col("n_union")).alias("jaccard"))
+    """(a, b, jaccard) for the pairs of groups that have a cell in common, through those cells: sums of a union are those of
+    both groups, put right in the cells that both have.  Rows are pairs by common cell, before a partial sum."""
+    b = F.col("bitmap")
+    # by cell what it adds to each sum; an empty cell adds 1 to either indicator
+    terms = [(term("hll", top_of(b)) - 1).alias("s_hll"), (term("nb", top_of(b), nbr_of(b)) - 1).alias("s_nb"), top_of(b).cast("double").alias("s_top"), gap_of(b).cast("double").alias("s_gap")]
+    names = ["s_hll", "s_nb", "s_top", "s_gap"]
+    cells = stored(sketch.select(F.col(group).alias("g"), "bucket", "bitmap"))
+    own = cells.select("g", *terms).groupBy("g").agg(F.count("*").alias("filled"), *[F.sum(n).alias(n) for n in names])
+    both = cells.select(F.col("g").alias("a"), "bucket", F.col("bitmap").alias("x")).join(cells.select(F.col("g").alias("b"), "bucket", F.col("bitmap").alias("y")), "bucket").where("a < b")
+    either = F.array(*[F.struct(F.lit(k).alias("sign"), v.alias("bitmap")) for k, v in ((1, F.col("x").bitwiseOR(F.col("y"))), (-1, F.col("x")), (-1, F.col("y")))])
+    both = both.select("a", "b", F.inline(either)).select("a", "b", "sign", *terms).groupBy("a", "b").agg((F.sum("sign")).alias("filled"), *[F.sum(F.col("sign") * F.col(n)).alias(n) for n in names])
+    side = lambda c: own.select(F.col("g").alias(c), *[F.col(n).alias(f"{c}_{n}") for n in ("filled", *names)])
+    u = both.join(side("a"), "a").join(side("b"), "b")
+    sized = lambda prefix: [(sum((F.col(f"{p}{n}") for p in prefix), F.lit(float(cfg.m) if n in ("s_hll", "s_nb") else 0))).cast("long" if n == "filled" else "double").alias(n) for n in ("filled", *names)]
+    parts = []
+    for name, prefix in (("n_union", ("", "a_", "b_")), ("n_a", ("a_",)), ("n_b", ("b_",))):
+        parts.append(u.select("a", "b", F.lit(name).alias("side"), *sized(prefix)))
+    est = from_sums(parts[0].union(parts[1]).union(parts[2]), kind, cfg, ["a", "b", "side"])
+    of = lambda n: F.max(F.when(F.col("side") == n, F.col("estimate"))).alias(n)
+    r = est.groupBy("a", "b").agg(of("n_union"), of("n_a"), of("n_b"))
+    return r.select("a", "b", (F.greatest(F.lit(0.0), F.col("n_a") + F.col("n_b") - F.col("n_union")) / F.col("n_union")).alias("jaccard"))

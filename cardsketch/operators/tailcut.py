@@ -4,22 +4,22 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..config import SketchConfig
 from ..functions.hashing import rho, split
 from .estimators import from_sums, sums
-from .martingale import first_seen
+from .martingale import first_seen, order_of
 from .registers import pairs
 
 
 def clamp(p: DataFrame, m: int, width: int = 4, by: list[str] = ()) -> DataFrame:
     """(by..., bucket, top, nbr) decoded from offsets of `width` bits over the least register of the
     group (0 if a cell is empty): what a sketch written to rest at one moment keeps."""
-    low = p.groupBy(*by).agg(F.when(F.count("*") < m, 0).otherwise(F.min("top")).alias("base"))
-    x = p.join(F.broadcast(low), list(by)) if by else p.crossJoin(F.broadcast(low))  # one row
-    return x.select(*by, "bucket", F.least("top", F.col("base") + F.lit((1 << width) - 1)).cast("tinyint").alias("top"), "nbr")
+    least, cut = F.when(F.count("*").over(Window.partitionBy("__g", *by)) < m, 0).otherwise(F.min("top").over(Window.partitionBy("__g", *by))), F.lit((1 << width) - 1)
+    x = p.withColumn("__g", F.lit(0)).withColumn("base", least)  # m rows a group at most
+    return x.select(*by, "bucket", F.least("top", F.col("base") + cut).cast("tinyint").alias("top"), "nbr")
 
 
 def snapshot(sketch: DataFrame, cfg: SketchConfig, kind: str = "nb", width: int = 4, by: list[str] = ()) -> DataFrame:
@@ -64,8 +64,9 @@ class TailCut:
 
 def replay_rows(df: DataFrame, cols: str | list[str], order: list[str], cfg: SketchConfig, width: int, by: list[str]) -> DataFrame:
     """The rows that fix a sequential tail-cut state: first arrivals, and draws beyond the cut, whose
-    repeats may count.  At width 4 the latter are one row in 2**15."""
-    ord_ = F.struct(*order).alias("ord")
+    repeats may count.  At width 4 the latter are one row in 2**15, at width 2 one in 8: a group's
+    meet in one task, so small widths are for experiments."""
+    ord_ = order_of(order)
     first = first_seen(df, cols, order, cfg, by)
     far = split(df, cols, cfg, by, [ord_]).where(F.col("bit") >= F.lit(1 << ((1 << width) - 1)).cast("long")).select(*by, "bucket", "bit", "ord")
     return first.union(far).distinct().select(*by, "bucket", rho(F.col("bit")).cast("int").alias("k"), "ord")
@@ -78,7 +79,8 @@ def sequential(df: DataFrame, cols: str | list[str], order: list[str], cfg: Sket
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         t = TailCut(m, width, kind)
-        x = pdf.assign(o=[tuple(v.values()) if isinstance(v, dict) else tuple(v) for v in pdf["ord"]]).sort_values("o")
+        whole = [v if np.isscalar(v) or not hasattr(v, "__len__") else tuple(v.values()) if isinstance(v, dict) else tuple(v) for v in pdf["ord"]]
+        x = pdf.assign(o=whole).sort_values("o")
         for cell, k in zip(x["bucket"], x["k"]):
             t.add(int(cell), int(k))
         out = pd.DataFrame({"bucket": np.arange(m, dtype=np.int32), "top": t.tops().astype(np.int32), "nbr": t.nbr.astype(np.int32)})

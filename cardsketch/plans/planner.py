@@ -27,18 +27,15 @@ class SketchStore:
 
 
 def distinct_cube(df: DataFrame, cols: str | list[str], keys: list[str], cfg: SketchConfig, sets: list[list[str]], kind: str = "nb") -> DataFrame:
-    """(keys..., set_id, estimate) for grouping sets: raw rows are read once into sketch rows, which
-    alone are expanded."""
+    """(keys..., set_id, estimate) for grouping sets: raw rows are aggregated once, into sketch rows, which alone are
+    expanded; the cell is in every set."""
     s = build(df, cols, cfg, keys)
-    parts = []
-    for i, g in enumerate(sets):
-        one = s.groupBy(*g, "bucket").agg(F.bit_or("bitmap").alias("bitmap"))
-        e = from_sums(sums(one, cfg.m, g), kind, cfg, g)
-        parts.append(e.select(*[F.col(k) if k in g else F.lit(None).cast(dict(df.dtypes)[k]).alias(k) for k in keys], F.lit(i).alias("set_id"), "estimate"))
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+    cube = s.groupingSets([[*[F.col(k) for k in g], F.col("bucket")] for g in sets], *keys, "bucket").agg(F.bit_or("bitmap").alias("bitmap"), F.grouping_id(*keys, "bucket").alias("gid"))
+    # in the id a bit is 1 for each column that a set leaves out, the last column's lowest
+    ids = [sum((k not in g) << (len(keys) - i) for i, k in enumerate(keys)) for g in sets]
+    number = F.coalesce(*[F.when(F.col("gid") == v, F.lit(i)) for i, v in enumerate(ids)])
+    x = cube.withColumn("set_id", number)
+    return from_sums(sums(x, cfg.m, [*keys, "set_id"]), kind, cfg, [*keys, "set_id"]).select(*keys, "set_id", "estimate")
 
 
 def profile(df: DataFrame, cols: list[str], cfg: SketchConfig, kind: str = "nb") -> DataFrame:
@@ -50,3 +47,13 @@ def profile(df: DataFrame, cols: list[str], cfg: SketchConfig, kind: str = "nb")
 def join_size(n_left: float, n_right: float, rows_left: int, rows_right: int) -> float:
     """Rows of an equi-join, keys being spread evenly and the lesser set contained in the other."""
     return rows_left * rows_right / max(n_left, n_right, 1.0)
+
+
+def join_estimate(left: DataFrame, a: str, right: DataFrame, b: str, cfg: SketchConfig) -> DataFrame:
+    """(rows): join_size from one scan of each side's key."""
+    def side(x: DataFrame, c: str, n: str) -> DataFrame:
+        e = from_sums(sums(build(x, c, cfg), cfg.m), "nb", cfg).select(F.col("estimate").alias(f"d_{n}"))
+        return e.crossJoin(F.broadcast(x.agg(F.count("*").cast("double").alias(f"n_{n}"))))
+
+    both = side(left, a, "l").crossJoin(F.broadcast(side(right, b, "r")))  # one row each
+    return both.select((F.col("n_l") * F.col("n_r") / F.greatest("d_l", "d_r", F.lit(1.0))).alias("rows"))

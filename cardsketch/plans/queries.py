@@ -1,39 +1,21 @@
-"""The query registry: every method, variant, baseline, measure and workload over the given tables.
+"""Queries of the methods, their variants, baselines and workloads over the given tables.
 
-Each query has a SQL twin in ORACLES where DuckDB can express it.  Doubles are rounded in both.
+Each has a SQL twin where DuckDB can express it.  Doubles are rounded in both.
 """
 
 from __future__ import annotations
 
-from collections.abc import Callable
-
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ..config import SketchConfig, portable
 from ..functions import sqlfuncs
 from ..functions.constants import alpha, gamma, variance
 from ..operators import codec, entropy, estimators, exact, martingale, measures, registers, setops, tailcut
-from ..sources import simulate
 from ..sources.tables import load, scratch, stored
-from ..streaming import windows
 from . import planner
 from . import sqltext as q
-
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
-ORACLES: dict[str, str] = {}
-FLAGS = ["l_returnflag", "l_linestatus"]
-
-
-def add(name: str, run: Callable[[SparkSession, str], DataFrame], sql: str | None = None) -> None:
-    QUERIES[name] = run
-    if sql:
-        ORACLES[name] = sql
-
-
-def r6(c: str = "estimate", digits: int = 6):
-    return F.round(c, digits).alias(c)
-
+from .registry import FLAGS, ORACLES, QUERIES, add, r6
 
 # -- mergeable sketches -----------------------------------------------------------------------
 
@@ -179,10 +161,14 @@ select a, b, round(greatest(0.0, n_a + n_b - u) / u, 6) as jaccard from p join u
 ORDER = ["o_orderdate", "o_orderkey"]
 
 
+def _ordered(spark, d, *more):
+    """Orders with date and key as one long, so that first arrivals aggregate by hash."""
+    return load(spark, d, "orders", ["o_custkey", *ORDER, *more]).withColumn("at", martingale.packed_order(F.col("o_orderdate"), F.col("o_orderkey")))
+
+
 def _mart(kind, by=()):
     def run(spark, d):
-        x = load(spark, d, "orders", ["o_custkey", *ORDER, *by])
-        return martingale.martingale(x, "o_custkey", ORDER, portable(64), kind, list(by)).select(*by, "changes", F.round("est", 6).alias("est"), F.round("var", 4).alias("var"))
+        return martingale.martingale(_ordered(spark, d, *by), "o_custkey", ["at"], portable(64), kind, list(by)).select(*by, "changes", F.round("est", 6).alias("est"), F.round("var", 4).alias("var"))
     return run
 
 
@@ -196,7 +182,7 @@ def _event_trace(spark, d):
     return martingale.trace(martingale.first_seen(x, "user_id", ["event_id"], portable(64)), portable(64), "nb")
 
 
-add("mart_trace", lambda spark, d: _event_trace(spark, d).select(F.col("ord.event_id").alias("event_id"), "bucket", "bit", F.round("q_before", 9).alias("q_before")),
+add("mart_trace", lambda spark, d: _event_trace(spark, d).select(F.col("ord").alias("event_id"), "bucket", "bit", F.round("q_before", 9).alias("q_before")),
     f"select (ord).v as event_id, cast(bucket as integer) as bucket, bit, round(q, 9) as q_before from ({q.trace('nb', 'user_id', 'events', ['event_id'], 64).replace('min(row(event_id))', 'min(struct_pack(v := event_id))')})")
 
 
@@ -209,41 +195,49 @@ add("mart_checkpoints", mart_checkpoints, f"""with t as ({q.trace('nb', 'user_id
 select e.event_id as checkpoint, round(sum(1 / q), 6) as est from events e join t on (t.ord).v <= e.event_id where e.event_id % 100 = 0 group by e.event_id""")
 
 
-def _snapshot(kind):
+def _snapshot(kind, width=4):
     def run(spark, d):
         s = registers.build(load(spark, d, "lineitem", ["l_extendedprice"]).select(F.round(F.col("l_extendedprice") * 100).cast("long").alias("cents")), "cents", portable(64))
-        return tailcut.snapshot(s, portable(64), kind, 2).select(r6())
+        return tailcut.snapshot(s, portable(64), kind, width).select(r6())
     return run
 
 
 for _k in ("nb", "hll"):
     _c = q.cells("cents", "(select cast(round(l_extendedprice * 100) as bigint) as cents from lineitem)", 64)
-    add(f"tc_{_k}_snapshot", _snapshot(_k), f"""with p as (select {q.TOP} as top, {q.NBR} as nbr from ({_c})), b as (select case when count(*) < 64 then 0 else min(top) end as base from p),
-    d as (select least(top, base + 3) as top, nbr from p, b) select round({q.value(_k, 64)}, 6) as estimate from ({q.sums('select * from d', 64, top='top', nbr='nbr', gap='0')})""")
+    for _w, _n in ((4, f"tc_{_k}_snapshot"), (2, f"tc_{_k}_snapshot_2bit")):
+        add(_n, _snapshot(_k, _w), f"""with p as (select {q.TOP} as top, {q.NBR} as nbr from ({_c})), b as (select case when count(*) < 64 then 0 else min(top) end as base from p),
+        d as (select least(top, base + {(1 << _w) - 1}) as top, nbr from p, b) select round({q.value(_k, 64)}, 6) as estimate from ({q.sums('select * from d', 64, top='top', nbr='nbr', gap='0')})""")
 
 
-def _sequential(kind):
+def _sequential(kind, width=4):
     def run(spark, d):
-        x = load(spark, d, "orders", ["o_custkey", *ORDER])
-        return tailcut.estimate(tailcut.sequential(x, "o_custkey", ORDER, portable(64), kind, 4), portable(64), kind).select("method", r6())
+        return tailcut.estimate(tailcut.sequential(_ordered(spark, d), "o_custkey", ["at"], portable(64), kind, width), portable(64), kind).select("method", r6())
     return run
 
 
 for _k in ("nb", "hll"):
-    add(f"tc_{_k}_sequential", _sequential(_k))
+    for _w, _n in ((4, f"tc_{_k}_sequential"), (2, f"tc_{_k}_sequential_2bit")):
+        _t = f"select t as top, n as nbr from ({q.tail_cut('o_custkey', 'orders', ORDER, 64, _w)}) where t > 0"
+        add(_n, _sequential(_k, _w), f"select 'tc_{_k}' as method, round({q.value(_k, 64)}, 6) as estimate from ({q.sums(_t, 64, top='top', nbr='nbr', gap='0')})")
 
 
 def tc_merge_divergence(spark, d):
     """Cells in which merged halves, cut to two bits, differ from the whole stream cut so."""
-    cfg, x = portable(64), load(spark, d, "orders", ["o_custkey", *ORDER, "o_orderstatus"])
-    halves = [tailcut.sequential(x.where(c), "o_custkey", ORDER, cfg, "nb", 2) for c in ("o_orderkey % 2 = 0", "o_orderkey % 2 = 1")]
-    one = tailcut.sequential(x, "o_custkey", ORDER, cfg, "nb", 2)
+    cfg, x = portable(64), _ordered(spark, d)
+    halves = [tailcut.sequential(x.where(c), "o_custkey", ["at"], cfg, "nb", 2) for c in ("o_orderkey % 2 = 0", "o_orderkey % 2 = 1")]
+    one = tailcut.sequential(x, "o_custkey", ["at"], cfg, "nb", 2)
     both = tailcut.merge_cells(*[h.select("bucket", F.col("top").cast("tinyint"), F.col("nbr").cast("tinyint")) for h in halves], 64, 2)
     y = one.select("bucket", F.struct("top", "nbr").alias("a")).join(both.select("bucket", F.struct(F.col("top").cast("int").alias("top"), F.col("nbr").cast("int").alias("nbr")).alias("b")), "bucket", "full")
     return y.agg(F.count("*").alias("cells"), F.sum((~F.col("a").eqNullSafe(F.col("b"))).cast("long")).alias("differ"))
 
 
-add("tc_merge_divergence", tc_merge_divergence)
+_halves = [q.tail_cut("o_custkey", f"(select * from orders where o_orderkey % 2 = {i})", ORDER, 64, 2) for i in (0, 1)]
+_mask = "case when t > 0 then 1::bigint << (t - 1) else 0 end | case when t > 1 and n = 1 then 1::bigint << (t - 2) else 0 end"
+add("tc_merge_divergence", tc_merge_divergence, f"""with one as (select i, t, n from ({q.tail_cut('o_custkey', 'orders', ORDER, 64, 2)}) where t > 0),
+bits as (select i, bit_or({_mask}) as bitmap from (select * from ({_halves[0]}) union all select * from ({_halves[1]})) where t > 0 group by i),
+p as (select i, {q.TOP} as t, {q.NBR} as n from bits), b as (select case when count(*) < 64 then 0 else min(t) end as base from p),
+both_ as (select i, least(t, base + 3) as t, n from p, b)
+select count(*) as cells, sum(cast(one.t is distinct from both_.t or one.n is distinct from both_.n as bigint))::bigint as differ from one full join both_ on one.i = both_.i""")
 
 
 def entropy_levels(spark, d):
@@ -258,7 +252,12 @@ def entropy_bits(spark, d):
     return spark.createDataFrame([("l_orderkey", 256, est, bits, bits / 256)], "name string, m int, estimate double, bits double, bits_a_cell double")
 
 
-add("entropy_bits", entropy_bits)
+_level = f"select list(s order by k) as s from (select r.range as k, sum((bitmap >> (r.range - 1)) & 1)::double as s from range(1, 61) r, ({q.cells('l_orderkey', 'lineitem', 256)}) group by 1)"
+_ll = lambda x: f"list_sum(list_transform(range(1, 61), lambda k: case when s[k] > 0 then s[k] * ln(1 - exp(-exp({x}) / (256 * pow(2.0::double, k)))) else 0 end - (256 - s[k]) * exp({x}) / (256 * pow(2.0::double, k))))"
+add("entropy_bits", lambda spark, d: entropy_bits(spark, d).select("name", "m", F.round("estimate", 1).alias("estimate"), F.round("bits", 3).alias("bits"), F.round("bits_a_cell", 5).alias("bits_a_cell")), f"""with recursive l as ({_level}),
+f(i, a, b) as (select 0, ln(1000.0::double), ln(1e8::double) union all
+  select i + 1, case when p < r then a + (b - a) / 3 else a end, case when p < r then b else b - (b - a) / 3 end from (select i, a, b, {_ll('(a + (b - a) / 3)')} as p, {_ll('(b - (b - a) / 3)')} as r from f, l) where i < 70)
+select 'l_orderkey' as name, 256 as m, round(exp((a + b) / 2), 1) as estimate, round(-{_ll('((a + b) / 2)')} / ln(2), 3) as bits, round(-{_ll('((a + b) / 2)')} / ln(2) / 256, 5) as bits_a_cell from f, l where i = 70""")
 
 # -- exact counts and the engine's own ---------------------------------------------------------
 add("exact_distinct", lambda spark, d: exact.exact_distinct(load(spark, d, "lineitem", ["l_orderkey", *FLAGS]), "l_orderkey", FLAGS), "select l_returnflag, l_linestatus, count(distinct l_orderkey) as n from lineitem group by all")
@@ -283,21 +282,62 @@ def sql_functions(spark, d):
 add("sql_functions", sql_functions)
 
 # -- workloads ----------------------------------------------------------------------------------
-PROFILED = {"lineitem": ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_returnflag", "l_linestatus"], "orders": ["o_orderkey", "o_custkey", "o_orderstatus", "o_orderpriority"], "customer": ["c_custkey", "c_name", "c_nationkey", "c_mktsegment"],
-            "supplier": ["s_suppkey", "s_name", "s_nationkey"], "part": ["p_partkey", "p_name", "p_brand", "p_type", "p_size"], "events": ["event_id", "user_id", "event_type", "props"], "nation": ["n_nationkey", "n_name", "n_regionkey"], "region": ["r_regionkey", "r_name"],
-            "documents": ["doc_id", "text", "lang", "source", "n_chars"], "pages": ["page_id", "url", "html"], "benchmark": ["item_id", "text"], "labels": ["doc_id", "quality", "toxic"], "conversations": ["conv_id", "turn", "role", "text"], "embeddings": ["vec_id", "label"]}
+PROFILED = {"lineitem": ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate"], "orders": ["o_orderkey", "o_custkey", "o_orderstatus", "o_totalprice", "o_orderdate", "o_orderpriority"],
+            "customer": ["c_custkey", "c_name", "c_nationkey", "c_acctbal", "c_mktsegment"], "supplier": ["s_suppkey", "s_name", "s_nationkey", "s_acctbal"], "part": ["p_partkey", "p_name", "p_brand", "p_type", "p_size", "p_retailprice"], "events": ["event_id", "ts", "user_id", "event_type", "value", "props"],
+            "nation": ["n_nationkey", "n_name", "n_regionkey"], "region": ["r_regionkey", "r_name"], "documents": ["doc_id", "text", "lang", "source", "n_chars"], "pages": ["page_id", "url", "html"], "benchmark": ["item_id", "text"], "labels": ["doc_id", "quality", "toxic"],
+            "conversations": ["conv_id", "turn", "role", "text"], "embeddings": ["vec_id", "embedding", "label"]}
+
+
+def _text_of(c, kind):
+    """A column as text that both engines write alike."""
+    if kind == "double":
+        return F.round(F.col(c) * 100).cast("long").cast("string")
+    if kind.startswith("timestamp"):
+        return F.date_format(c, "yyyy-MM-dd HH:mm:ss.SSSSSS")
+    if kind.startswith("array"):
+        return F.array_join(F.transform(c, lambda v: F.floor(v.cast("double") * 1000000).cast("string")), ",")
+    return F.col(c).cast("string")
+
+
+def _text_sql(c):
+    if c in ("l_quantity", "l_extendedprice", "l_discount", "l_tax", "o_totalprice", "c_acctbal", "s_acctbal", "p_retailprice", "value"):
+        return f"cast(cast(round({c} * 100) as bigint) as varchar)"
+    if c in ("l_shipdate", "o_orderdate", "ts"):
+        return f"strftime({c}, '%Y-%m-%d %H:%M:%S.%f')"
+    if c == "embedding":
+        return "array_to_string(list_transform(embedding, lambda v: cast(cast(floor(v::double * 1000000) as bigint) as varchar)), ',')"
+    return f"cast({c} as varchar)"
 
 
 def ndv_profile(spark, d):
-    """Distinct values of every column that casts alike in both engines: a scan a table."""
+    """Distinct values of every column of every table: a scan a table."""
     out = None
     for t, cols in PROFILED.items():
-        x = planner.profile(load(spark, d, t, cols), cols, portable(256)).select(F.lit(t).alias("tab"), "name", r6())
+        x = load(spark, d, t, cols)
+        x = x.select(*[_text_of(c, k).alias(c) for c, k in x.dtypes])
+        x = planner.profile(x, cols, portable(256)).select(F.lit(t).alias("tab"), "name", r6())
         out = x if out is None else out.union(x)
     return out
 
 
-add("ndv_profile", ndv_profile, "\nunion all\n".join(f"select '{t}' as tab, '{c}' as name, * from ({q.estimate('nb', c, t, 256)})" for t, cs in PROFILED.items() for c in cs))
+add("ndv_profile", ndv_profile, "\nunion all\n".join(f"select '{t}' as tab, '{c}' as name, * from ({q.estimate('nb', _text_sql(c), t, 256)})" for t, cs in PROFILED.items() for c in cs))
+
+
+def join_sizes(spark, d):
+    """Rows of equi-joins from distinct counts of both sides' keys, beside the true number."""
+    out = None
+    for left, a, right, b in (("lineitem", "l_orderkey", "orders", "o_orderkey"), ("orders", "o_custkey", "customer", "c_custkey"), ("lineitem", "l_suppkey", "supplier", "s_suppkey")):
+        x, y = load(spark, d, left, [a]), load(spark, d, right, [b])
+        e = planner.join_estimate(x, a, y, b, portable(1024))
+        n = x.join(y, F.col(a) == F.col(b)).agg(F.count("*").alias("n"))
+        e = e.crossJoin(F.broadcast(n)).select(F.lit(f"{a}={b}").alias("keys"), F.round("rows", 3).alias("rows"), "n")
+        out = e if out is None else out.union(e)
+    return out
+
+
+add("join_sizes", join_sizes, "\nunion all\n".join(f"""select '{a}={b}' as keys, round(nl * nr / greatest(dl, dr, 1.0), 3) as rows, n from (select estimate as dl from ({q.estimate('nb', a, left, 1024, digits=15)})), (select estimate as dr from ({q.estimate('nb', b, right, 1024, digits=15)})),
+(select count(*)::double as nl from {left}), (select count(*)::double as nr from {right}), (select count(*) as n from {left} join {right} on {a} = {b})"""
+    for left, a, right, b in (("lineitem", "l_orderkey", "orders", "o_orderkey"), ("orders", "o_custkey", "customer", "c_custkey"), ("lineitem", "l_suppkey", "supplier", "s_suppkey"))))
 
 
 def ndv_composite(spark, d):
@@ -306,7 +346,7 @@ def ndv_composite(spark, d):
     return e.crossJoin(exact.exact_distinct(x, ["l_partkey", "l_suppkey"])).select(r6(), "n")
 
 
-add("ndv_composite", ndv_composite, f"select estimate, n from ({q.estimate('nb', 'k', '(select l_partkey || chr(124) || l_suppkey as k from lineitem)', 256)}), (select count(distinct (l_partkey, l_suppkey)) as n from lineitem)")
+add("ndv_composite", ndv_composite, f"select estimate, n from ({q.estimate('nb', 'k', f"(select {q.composite('l_partkey', 'l_suppkey')} as k from lineitem)", 256)}), (select count(distinct (l_partkey, l_suppkey)) as n from lineitem)")
 
 
 def flows_hour(spark, d):
@@ -315,19 +355,19 @@ def flows_hour(spark, d):
     return estimators.estimate(x, ["user_id", "props"], portable(64), "nb", ["event_type", "hour"]).select("event_type", "hour", r6())
 
 
-_flow = "(select event_type, date_trunc('hour', ts) as hour, user_id || chr(124) || props as k from events)"
+_flow = f"(select event_type, date_trunc('hour', ts) as hour, {q.composite('user_id', 'props')} as k from events)"
 add("flows_hour", flows_hour, q.estimate("nb", "k", _flow, 64, ["event_type", "hour"]))
 
 
 def flows_alert(spark, d):
-    """Hours whose flows exceed their type's mean by two deviations."""
+    """Hours whose flows exceed their type's mean by three deviations."""
     e = flows_hour(spark, d)
     w = Window.partitionBy("event_type")
     x = e.withColumn("mean", F.avg("estimate").over(w)).withColumn("sd", F.stddev_pop("estimate").over(w))
-    return x.where("estimate > mean + 2 * sd").select("event_type", "hour", "estimate")
+    return x.where("estimate > mean + 3 * sd").select("event_type", "hour", "estimate")
 
 
-add("flows_alert", flows_alert, f"with e as ({ORACLES['flows_hour']}), w as (select *, avg(estimate) over (partition by event_type) as mean, stddev_pop(estimate) over (partition by event_type) as sd from e) select event_type, hour, estimate from w where estimate > mean + 2 * sd")
+add("flows_alert", flows_alert, f"with e as ({ORACLES['flows_hour']}), w as (select *, avg(estimate) over (partition by event_type) as mean, stddev_pop(estimate) over (partition by event_type) as sd from e) select event_type, hour, estimate from w where estimate > mean + 3 * sd")
 add("supplier_fanout", lambda spark, d: estimators.estimate(load(spark, d, "lineitem", ["l_orderkey", "l_suppkey"]), "l_orderkey", portable(64), "nb", ["l_suppkey"]).select("l_suppkey", r6()), q.estimate("nb", "l_orderkey", "lineitem", 64, ["l_suppkey"]))
 
 
@@ -342,7 +382,7 @@ add("url_hosts", url_hosts, q.estimate("nb", "url", "(select regexp_extract(url,
 def _per_word(table, key):
     def run(spark, d):
         """The 100 words found under most keys; ties go by the word."""
-        x = load(spark, d, table, [key, "text"]).select(key, F.explode(F.split(F.lower("text"), " ")).alias("word"))
+        x = load(spark, d, table, [key, "text"]).select(key, F.explode(F.array_distinct(F.split(F.lower("text"), " "))).alias("word"))
         return estimators.estimate(x, key, portable(64), "nb", ["word"]).select("word", r6()).orderBy(F.desc("estimate"), "word").limit(100)
     return run
 
@@ -450,26 +490,6 @@ _pairs = [("nb", "hll"), ("mart_nb", "mart_hll"), ("tc_nb", "tc_hll")]
 add("memory_ratios", lambda spark, d: spark.createDataFrame([(a, b, round(measures.memory_ratio(a, b), 4)) for a, b in _pairs], "a string, b string, ratio double"),
     """select 'nb' as a, 'hll' as b, round(7 * (41 * ln(2) / 16 - 1) / (6 * (3 * ln(2) - 1)), 4) as ratio
 union all select 'mart_nb', 'mart_hll', round(7 * 0.75 / (6 * 1.0), 4) union all select 'tc_nb', 'tc_hll', round(5 * (41 * ln(2) / 16 - 1) / (4 * (3 * ln(2) - 1)), 4)""")
-add("constants_table", lambda spark, d: spark.createDataFrame([(m, gamma(m), gamma(m, "laplace"), variance("nb", m), alpha(m), variance("hll", m)) for m in (16, 64, 256, 1024, 1195, 1280, 16384)], "m int, gamma double, gamma_laplace double, beta double, alpha double, hll_variance double"))
-for _p in "abc":
-    add(f"sim_fig1_{_p}", lambda spark, d, p=_p: simulate.plot_errors(spark, p, streams=400, cells=64, n=2e4, checkpoints=5))
-
-
-def sim_literal(spark, d):
-    """Literal streams: 100 of 20,000 elements each."""
-    cfg = SketchConfig(64)
-    cells = simulate.literal(spark, 100, 20_000, cfg).groupBy("stream_id", "bucket").agg(F.bit_or("bit").alias("bitmap"))
-    s = estimators.sums(cells, 64, ["stream_id"])
-    x = None
-    for k in ("nb", "hll", "loglog", "pcsa"):
-        e = estimators.from_sums(s, k, cfg, ["stream_id"]).select("method", "estimate", F.lit(20_000.0).alias("truth"))
-        x = e if x is None else x.union(e)
-    return measures.accuracy(x, "truth", ["method"])
-
-
-add("sim_literal", sim_literal)
-
-
 def ablation_m(spark, d):
     """The neighbour bit on and off, and the number of cells, against the truth."""
     x, out = load(spark, d, "lineitem", ["l_orderkey"]), None
@@ -487,18 +507,6 @@ _abl = "\nunion all\n".join(f"select '{k}' as method, {m} as m, round({q.value(k
 add("ablation_m", ablation_m, _abl)
 
 
-def ablation_width(spark, d):
-    """Offsets of 2 to 5 bits, from simulated streams."""
-    out = None
-    for w in (2, 3, 4, 5):
-        e = simulate.plot_errors(spark, "c", streams=200, cells=64, n=2e4, checkpoints=1, width=w).withColumn("width", F.lit(w))
-        out = e if out is None else out.union(e)
-    return out
-
-
-add("ablation_width", ablation_width)
-
-
 def ablation_hash(spark, d):
     x = load(spark, d, "lineitem", ["l_orderkey"])
     return estimators.estimate(x, "l_orderkey", SketchConfig(256), "nb").select(F.lit("xxhash64").alias("family"), "estimate").union(estimators.estimate(x, "l_orderkey", portable(256), "nb").select(F.lit("md5"), "estimate"))
@@ -507,24 +515,6 @@ def ablation_hash(spark, d):
 add("ablation_hash", ablation_hash)
 
 
-def replay_seeds_mse(spark, d):
-    """The same column under 16 seeds, by one scan: errors against the exact count."""
-    x = load(spark, d, "lineitem", ["l_orderkey"])
-    n = exact.exact_distinct(x, "l_orderkey")
-    parts = None
-    distinct = stored(x.distinct())
-    for seed in range(1, 17):
-        e = estimators.estimate(distinct, "l_orderkey", portable(64, seed), "nb").select(F.lit(seed).alias("seed"), "estimate", "lo", "hi")
-        parts = e if parts is None else parts.union(e)
-    y = parts.crossJoin(F.broadcast(n))
-    a = measures.accuracy(y, "n")
-    return a.select("runs", F.round("bias", 6).alias("bias"), F.round("rel_mse", 8).alias("rel_mse"))
-
-
-add("replay_seeds_mse", replay_seeds_mse, f"""with e as ({" union all ".join(f"select {q.value('nb', 64)} as v from ({q.sums(q.cells('l_orderkey', 'lineitem', 64, (), s), 64)})" for s in range(1, 17))}), n as (select count(distinct l_orderkey) as n from lineitem)
-select count(*) as runs, round(avg(v / n) - 1, 6) as bias, round(avg(pow(v / n - 1, 2)), 8) as rel_mse from e, n""")
-
-
 def daily_store(spark, d):
     """Daily sketches at rest, a fortnight merged from them."""
     store = planner.SketchStore(spark, scratch(spark), portable(64), ["event_type"])
@@ -533,40 +523,3 @@ def daily_store(spark, d):
 
 
 add("daily_store", daily_store, q.estimate("nb", "user_id", "(select event_type, user_id from events where cast(ts as date) between date '2024-01-05' and date '2024-01-18')", 64, ["event_type"]))
-
-# -- streams ------------------------------------------------------------------------------------
-
-
-def _windowed(size, slide=None):
-    def run(spark, d):
-        cfg = portable(64)
-        s = windows.with_event_time(windows.event_stream(spark, d))
-        cells = windows.drain(windows.windowed(s, "user_id", cfg, size, slide, ["event_type"]))
-        return windows.window_estimates(cells, cfg, "nb", ["event_type"]).select(F.date_format("start", "yyyy-MM-dd HH:mm").alias("start"), "event_type", r6())
-    return run
-
-
-_start = "strftime(cast(ts as date), '%Y-%m-%d %H:%M')"
-add("stream_tumbling", _windowed("1 day"), q.estimate("nb", "user_id", f"(select {_start} as start, event_type, user_id from events)", 64, ["start", "event_type"]))
-_slid = "(select strftime(unnest([cast(ts as date), cast(ts as date) - interval 1 day]), '%Y-%m-%d %H:%M') as start, event_type, user_id from events)"
-add("stream_sliding", _windowed("2 days", "1 day"), q.estimate("nb", "user_id", _slid, 64, ["start", "event_type"]))
-
-
-def stream_stateful(spark, d):
-    """A sequential sketch a user's type, fed by a stream; the last update of each group."""
-    s = windows.event_stream(spark, d)
-    x = windows.drain(windows.stateful_martingale(s, "user_id", "event_type", "event_id", portable(64)), "update")
-    return x.groupBy("event_type").agg(F.max("rows_in").alias("rows_in"), F.round(F.max_by("est", "rows_in"), 6).alias("est"), F.round(F.max_by("var", "rows_in"), 4).alias("var"))
-
-
-add("stream_stateful", stream_stateful, f"select event_type, n as rows_in, est, var from ({q.martingale('nb', 'user_id', 'events', ['event_id'], 64, ['event_type'])}) join (select event_type, count(*) as n from events group by all) using (event_type)")
-
-
-def stream_sessions(spark, d):
-    x = load(spark, d, "events", ["ts", "user_id"]).withColumn("ts", F.col("ts").cast("timestamp"))
-    return windows.sessions(x, "user_id", "6 hours").groupBy("user_id").agg(F.count("*").alias("n_sessions"), F.max("n_rows").alias("longest"))
-
-
-add("stream_sessions", stream_sessions, """with g as (select user_id, ts, case when ts - lag(ts) over w < interval 6 hour then 0 else 1 end as fresh from events window w as (partition by user_id order by ts)),
-s as (select user_id, sum(fresh) over (partition by user_id order by ts rows unbounded preceding) as s from g), c as (select user_id, s, count(*) as n from s group by all)
-select user_id, count(*) as n_sessions, max(n) as longest from c group by user_id""")

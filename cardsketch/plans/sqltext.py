@@ -13,11 +13,18 @@ def _list(by: list[str], tail: str = ", ") -> str:
     return "".join(f"{c}{tail}" for c in by)
 
 
-def hashed(x: str, source: str, m: int, by: list[str] = (), seed: int = 0, extra: str = "") -> str:
-    """A select of (by..., bucket, y & -y as bit)."""
-    d = f"md5({f'{seed!r} || chr(58) || ' if seed else ''}cast({x} as varchar))"
+def composite(*parts: str) -> str:
+    """The text of an element of several columns: each after its length."""
+    return " || ".join(f"length(cast({p} as varchar)) || ':' || cast({p} as varchar)" for p in parts)
+
+
+def hashed(x: str, source: str, m: int, by: list[str] = (), seed: int | str = 0, extra: str = "", top: bool = False) -> str:
+    """A select of (by..., bucket, y & -y as bit); seed is a number or a column, top takes the cell from the first bits."""
+    d = f"md5({f'{seed} || chr(58) || ' if seed else ''}cast({x} as varchar))"
     y = f"(cast('0x' || substr({d}, 18, 15) as bigint) | 1152921504606846976)"
-    return f"select {_list(by)}{extra}cast('0x' || substr({d}, 1, 8) as bigint) % {m} as bucket, {y} & -{y} as bit from {source} where {x} is not null"
+    word = f"cast('0x' || substr({d}, 1, 8) as bigint)"
+    cell = f"{word} >> {33 - m.bit_length()}" if top else f"{word} % {m}"
+    return f"select {_list(by)}{extra}{cell} as bucket, {y} & -{y} as bit from {source} where {x} is not null"
 
 
 def cells(x: str, source: str, m: int, by: list[str] = (), seed: int = 0) -> str:
@@ -53,15 +60,26 @@ def regime(kind: str, m: int, threshold: float = 2.5) -> str:
     return f"case when filled = 0 then 'empty' when {raw(kind, m)} < {threshold * m!r} and filled < {m} then 'linear' else 'raw' end"
 
 
-def estimate(kind: str, x: str, source: str, m: int, by: list[str] = (), more: str = "", seed: int = 0, threshold: float = 2.5) -> str:
-    return f"select {_list(by)}round({value(kind, m, threshold=threshold)}, 6) as estimate{more} from ({sums(cells(x, source, m, by, seed), m, by)})"
+def estimate(kind: str, x: str, source: str, m: int, by: list[str] = (), more: str = "", seed: int = 0, threshold: float = 2.5, digits: int = 6, small: bool = True) -> str:
+    return f"select {_list(by)}round({value(kind, m, small, threshold)}, {digits}) as estimate{more} from ({sums(cells(x, source, m, by, seed), m, by)})"
 
 
-def trace(kind: str, x: str, source: str, order: list[str], m: int, by: list[str] = ()) -> str:
-    """The changes of a sequential sketch: (by..., o1.., bucket, bit, q)."""
-    keys, order_sql = _list(by), ", ".join(order)
-    part = f"partition by {_list(by)[:-2]}" if by else ""
-    first = f"select {keys}bucket, bit, min(row({order_sql})) as ord from ({hashed(x, source, m, by, extra=order_sql + ', ')}) group by {keys}bucket, bit"
+def tail_cut(x: str, source: str, order: list[str], m: int, width: int) -> str:
+    """(i, t, n): cells of a sequential tail-cut sketch, element by element: a recursion over the ordered stream whose
+    state is two lists.  The base is the least register."""
+    rows = f"select row_number() over (order by {', '.join(order)}) as seq, bucket + 1 as c, length(ltrim(bin(bit), '0')) as k from ({hashed(x, source, m, extra=', '.join(order) + ', ')})"
+    return f"""with recursive rows_ as materialized ({rows}), last_ as (select max(seq) as z from rows_),
+    st(seq, ts, ns) as (select 0::bigint, list_transform(range({m}), lambda v: 0), list_transform(range({m}), lambda v: 1) union all
+      select r.seq, case when kk > ts[c] then list_transform(ts, lambda v, i: case when i = c then kk else v end) else ts end,
+        case when kk > ts[c] then list_transform(ns, lambda v, i: case when i = c then case when kk = 1 or (kk = ts[c] + 1 and ts[c] > 0) then 1 else 0 end else v end)
+          when kk = ts[c] - 1 then list_transform(ns, lambda v, i: case when i = c then 1 else v end) else ns end
+      from (select r.seq, r.c, least(r.k, list_min(st.ts) + {(1 << width) - 1}) as kk, st.ts, st.ns from st join rows_ r on r.seq = st.seq + 1) r)
+    select unnest(range(1, {m + 1})) as i, unnest(ts) as t, unnest(ns) as n from st, last_ where seq = z"""
+
+
+def changes(kind: str, first: str, order: str, m: int, by: list[str] = ()) -> str:
+    """From a select of first arrivals (by..., bucket, bit, order): those that change the state, with q, the chance before."""
+    keys, part = _list(by), f"partition by {_list(by)[:-2]}" if by else ""
     if kind == "pcsa":
         changed = f"select *, -0.5::double / bit as delta from ({first})"
     else:
@@ -69,12 +87,19 @@ def trace(kind: str, x: str, source: str, order: list[str], m: int, by: list[str
             t, n = TOP.replace("bitmap", b), NBR.replace("bitmap", b)
             return f"pow(2.0::double, -({t}))" + (f" * (3 - 2 * ({n}))" if kind == "nb" else "")
 
-        prev = f"select *, coalesce(bit_or(bit) over (partition by {keys}bucket order by ord rows between unbounded preceding and 1 preceding), 0) as prev from ({first})"
+        prev = f"select *, coalesce(bit_or(bit) over (partition by {keys}bucket order by {order} rows between unbounded preceding and 1 preceding), 0) as prev from ({first})"
         changed = f"select *, {term('(prev | bit)')} - {term('prev')} as delta from ({prev})"
-    return f"""select *, ({m} + coalesce(sum(delta) over ({part} order by ord rows between unbounded preceding and 1 preceding), 0)) / {m} as q
+    return f"""select *, ({m} + coalesce(sum(delta) over ({part} order by {order} rows between unbounded preceding and 1 preceding), 0)) / {m} as q
       from ({changed}) where delta <> 0"""
 
 
+def trace(kind: str, x: str, source: str, order: list[str], m: int, by: list[str] = ()) -> str:
+    """The changes of a sequential sketch: (by..., ord, bucket, bit, q)."""
+    keys, order_sql = _list(by), ", ".join(order)
+    first = f"select {keys}bucket, bit, min(row({order_sql})) as ord from ({hashed(x, source, m, by, extra=order_sql + ', ')}) group by {keys}bucket, bit"
+    return changes(kind, first, "ord", m, by)
+
+
 def martingale(kind: str, x: str, source: str, order: list[str], m: int, by: list[str] = ()) -> str:
     group = f" group by {_list(by)[:-2]}" if by else ""
     return f"select {_list(by)}count(*) as changes, round(sum(1 / q), 6) as est, round(sum((1 - q) / (q * q)), 4) as var from ({trace(kind, x, source, order, m, by)}){group}"

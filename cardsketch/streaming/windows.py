@@ -1,4 +1,4 @@
-"""Sketches over streams: windowed ORs in the state store, and a stateful sequential sketch."""
+"""Sketches over streams: windowed ORs in the state store, sessions, joins, and sequential sketches."""
 
 from __future__ import annotations
 
@@ -10,6 +10,7 @@ from pyspark.sql.streaming.state import GroupStateTimeout
 from ..config import SketchConfig
 from ..functions.hashing import split
 from ..operators.estimators import from_sums, sums
+from ..operators.martingale import trace
 from ..operators.registers import nb_update
 from ..sources.tables import scratch
 
@@ -20,6 +21,20 @@ def event_stream(spark: SparkSession, sf_dir: str, name: str = "events", files:
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", files).option("pathGlobFilter", "*.parquet").parquet(f"{sf_dir}/{name}.parquet*")
 
 
+def as_files(df: DataFrame, order: str, batches: int, path: str) -> str:
+    """df as `batches` files in a folder, ranges of a column, whose times of writing follow them, so that a stream
+    takes them in that order; for replays."""
+    low, high = df.agg(F.min(order), F.max(order)).first()
+    for i in range(batches):
+        a, b = low + (high - low + 1) * i // batches, low + (high - low + 1) * (i + 1) // batches
+        df.where((F.col(order) >= a) & (F.col(order) < b)).coalesce(1).write.parquet(f"{path}/part={i:04d}")
+    return path
+
+
+def file_stream(spark: SparkSession, path: str, schema, files: int = 1) -> DataFrame:
+    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files).option("recursiveFileLookup", "true").parquet(path)
+
+
 def with_event_time(df: DataFrame, delay: str = "1 day") -> DataFrame:
     return df.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay)
 
@@ -36,34 +51,40 @@ def window_estimates(cells: DataFrame, cfg: SketchConfig, kind: str = "nb", by:
     return from_sums(sums(cells, cfg.m, keys), kind, cfg, keys).select(*keys, "estimate")
 
 
-def drain(stream: DataFrame, mode: str = "complete") -> DataFrame:
-    """Runs a stream over what is there now and returns its rows, through a table in the shared folder."""
+def drain(stream: DataFrame, mode: str = "complete", out: str | None = None, checkpoint: str | None = None) -> DataFrame:
+    """Runs a stream over what is there now and returns its rows, through a table in the shared folder.  With the
+    folders of an earlier run it goes on from there.  A batch that is run again overwrites what it wrote before."""
     spark = stream.sparkSession
-    out = scratch(spark)
+    out, checkpoint = out or scratch(spark), checkpoint or scratch(spark)
 
     def keep(batch: DataFrame, i: int) -> None:
-        batch.write.mode("overwrite" if mode == "complete" else "append").parquet(out)
+        batch.write.mode("overwrite").parquet(out if mode == "complete" else f"{out}/batch={i}")
 
-    q = stream.writeStream.outputMode(mode).option("checkpointLocation", scratch(spark)).trigger(availableNow=True).foreachBatch(keep).start()
+    q = stream.writeStream.outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(keep).start()
     q.awaitTermination()
     return spark.read.schema(stream.schema).parquet(out)
 
 
 def stateful_martingale(stream: DataFrame, col: str, by: str, order: str, cfg: SketchConfig) -> DataFrame:
     """(by, rows_in, est, var) updates of a sequential sketch for each group: rows are taken by
-    `order` inside a batch, batches in turn.  The state is the cells' pairs and three numbers."""
+    `order` inside a batch, batches in turn.  The state is the cells' pairs and three numbers.  Of a batch
+    only the first arrivals of each bit, which alone can change a state, are walked over one by one."""
     x = split(stream, col, cfg, [by], [F.col(order).alias("o")])
     kind = dict(x.dtypes)[by]
     m = cfg.m
 
+    def first(frame: pd.DataFrame) -> pd.DataFrame:
+        return frame.sort_values("o").drop_duplicates(["bucket", "bit"])
+
     def run(key, frames, state):
         top, nbr, total, est, var, n = state.get if state.exists else ([0] * m, [1] * m, float(m), 0.0, 0.0, 0)
-        top, nbr = list(top), list(nbr)
-        pdf = pd.concat(list(frames)).sort_values("o")
-        for cell, bit in zip(pdf["bucket"], pdf["bit"]):
+        top, nbr, seen = list(top), list(nbr), None
+        for f in frames:
+            n += len(f)
+            seen = first(f if seen is None else pd.concat([seen, f]))
+        for cell, bit in zip(seen["bucket"].tolist(), seen["bit"].tolist()):
             a, b = top[cell], nbr[cell]
-            c, d = nb_update(a, b, int(bit).bit_length())
-            n += 1
+            c, d = nb_update(a, b, bit.bit_length())
             if (a, b) != (c, d):
                 q = total / m
                 est += 1 / q
@@ -76,11 +97,64 @@ def stateful_martingale(stream: DataFrame, col: str, by: str, order: str, cfg: S
     return x.groupBy(by).applyInPandasWithState(run, f"{by} {kind}, rows_in long, est double, var double", "top array<int>, nbr array<int>, total double, est double, var double, n long", "update", GroupStateTimeout.NoTimeout)
 
 
+class FirstSeen:
+    """Sequential sketches of a stream without Python on its rows: each batch is aggregated to first arrivals and
+    merged with those before, in a table a batch, so that a batch that is run again changes nothing.
+
+    Order keys must rise from batch to batch.  A table has 64 m rows a group at most."""
+
+    def __init__(self, spark: SparkSession, path: str, cfg: SketchConfig, by: list[str]):
+        self.spark, self.path, self.cfg, self.by = spark, path, cfg, list(by)
+
+    def run(self, stream: DataFrame, col: str, order: str, checkpoint: str) -> None:
+        def merge(batch: DataFrame, i: int) -> None:
+            new = split(batch, col, self.cfg, self.by, [F.col(order).alias("ord")])
+            old = self.table(i - 1) if i else None
+            rows = new if old is None else new.unionByName(old.select(new.columns))
+            rows.groupBy(*self.by, "bucket", "bit").agg(F.min("ord").alias("ord")).write.mode("overwrite").parquet(f"{self.path}/{i}")
+            self.last = i
+
+        self.last = -1
+        q = stream.writeStream.option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(merge).start()
+        q.awaitTermination()
+
+    def table(self, batch: int) -> DataFrame:
+        return self.spark.read.parquet(f"{self.path}/{batch}")
+
+    def estimates(self, kind: str = "nb") -> DataFrame:
+        """(by..., changes, est, var) after the last batch."""
+        t = trace(self.table(self.last), self.cfg, kind, self.by)
+        return t.groupBy(*self.by).agg(F.count("*").alias("changes"), F.sum("inc").alias("est"), F.sum("var_inc").alias("var"))
+
+
 def sessions(df: DataFrame, by: str, gap: str) -> DataFrame:
     """(by, start, end, rows) of each session."""
     return df.groupBy(by, F.session_window("ts", gap).alias("s")).agg(F.count("*").alias("n_rows")).select(by, F.col("s.start").alias("start"), F.col("s.end").alias("end"), "n_rows")
 
 
+def session_sketches(df: DataFrame, col: str, by: str, gap: str, cfg: SketchConfig) -> DataFrame:
+    """(by, start, bucket, bitmap) of each session: a session's bounds depend on all its rows, so that a cell can't be
+    a key of it; each of the m cells, a few, is an aggregate of its own.  Works on streams."""
+    x = split(df, col, cfg, [by], [F.col("ts")])
+    x = x.groupBy(by, F.session_window("ts", gap).alias("s")).agg(*[F.bit_or(F.when(F.col("bucket") == i, F.col("bit"))).alias(f"b{i}") for i in range(cfg.m)])
+    cells = F.array(*[F.struct(F.lit(i).alias("bucket"), F.col(f"b{i}").alias("bitmap")) for i in range(cfg.m)])
+    return x.select(by, F.col("s.start").alias("start"), F.inline(F.filter(cells, lambda c: c["bitmap"].isNotNull())))
+
+
 def exact_stream(df: DataFrame, col: str, delay: str = "1 day") -> DataFrame:
     """The rows of a stream whose element is new within the watermark."""
     return with_event_time(df, delay).dropDuplicatesWithinWatermark([col])
+
+
+def enriched(stream: DataFrame, table: DataFrame, key: str) -> DataFrame:
+    """A stream joined with a table."""
+    return stream.join(table, key)
+
+
+def followed(left: DataFrame, right: DataFrame, key: str, within: str, delay: str = "1 day") -> DataFrame:
+    """Pairs of rows of two streams with one key, the right one's at most `within` after the left one's; both have
+    columns key, ts and event_id.  Rows older than that need no state."""
+    a = with_event_time(left, delay).select(F.col(key), F.col("ts").alias("ts_a"), F.col("event_id").alias("id_a"))
+    b = with_event_time(right, delay).select(F.col(key).alias("key_b"), F.col("ts").alias("ts_b"), F.col("event_id").alias("id_b"))
+    on = (F.col(key) == F.col("key_b")) & (F.col("ts_b") >= F.col("ts_a")) & (F.col("ts_b") <= F.col("ts_a") + F.expr(f"interval {within}"))
+    return a.join(b, on).select(key, "id_a", "id_b")

@@ -6,7 +6,7 @@ import os
 import duckdb
 import pytest
 
-from cardsketch.plans import queries as base
+from cardsketch.plans import experiments, queries as base, relational  # noqa: F401
 
 
 @pytest.fixture(scope="module")

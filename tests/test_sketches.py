@@ -257,3 +257,88 @@ def test_plan_is_native_and_pruned(spark, sf_dir):
     assert "IsNotNull(l_orderkey)" in plan and "l_comment" not in plan
     schema = plan[plan.index("ReadSchema"):].split("\n")[0]
     assert "l_orderkey" in schema and "l_returnflag" in schema and "l_tax" not in schema
+
+
+def test_laws_as_printed_and_true():
+    assert theory.p_pair(2, 0, 1) == 0.25 and theory.p_pair_printed(2, 0, 1) == 0.125
+    assert abs(theory.p_pair(3, 0, 400) - theory.p_pair_printed(3, 0, 400)) < 1e-12
+    assert abs(theory.integrand(10, 1, "printed") - constants.f_nb(1)) > 1e-3 > 1e-5 > abs(theory.integrand(10, 1) - constants.f_nb(1))
+    assert all(abs(theory.mean_error(m)) <= 8.4e-5 for m in (16, 64, 256, 1024))
+
+
+def test_elements(spark):
+    """Composite elements are told apart, nulls kept if asked for, strings folded if asked for."""
+    x = spark.createDataFrame([("a|b", "c"), ("a", "b|c"), (" A|B ", "C"), (None, "c"), ("c", None), (None, None)], "x string, y string")
+    for family in ("md5", "xxhash64"):
+        n = lambda **kw: round(estimators.estimate(x, ["x", "y"], SketchConfig(64, family, **kw)).first()["estimate"])  # noqa: B023, E731
+        assert (n(), n(strings="folded"), n(nulls="keep"), n(nulls="keep", strings="folded")) == (3, 2, 6, 5)
+    y = spark.createDataFrame([(float("nan"),), (-float("nan"),), (0.0,), (-0.0,)], "z double")
+    assert round(estimators.estimate(y, "z", SketchConfig(64)).first()["estimate"]) == 2
+
+
+@pytest.mark.parametrize("m", [1, 2, 64, 1024])
+def test_cells_from_the_first_bits(spark, m):
+    x = spark.range(30_000)
+    for family in ("md5", "xxhash64"):
+        s = registers.build(x, "id", SketchConfig(m, family, layout="top"))
+        assert s.count() == m and s.where(f"bucket < 0 or bucket >= {m}").count() == 0
+        if m == 1024:
+            e = estimators.from_sums(estimators.sums(s, m), "nb", SketchConfig(m)).first()
+            assert abs(e["estimate"] / 30_000 - 1) < 5 * e["rse"]
+    with pytest.raises(ValueError):
+        SketchConfig(1195, layout="top")
+
+
+def test_renamed_sequential_states_do_not_merge(spark, sf_dir):
+    t = martingale.martingale(load(spark, sf_dir, "orders"), "o_custkey", ["o_orderkey"], portable(16)).withColumnsRenamed({"est": "a", "var": "b"})
+    with pytest.raises(ValueError):
+        registers.merge([t, t])
+
+
+def test_packed_tail_cut():
+    rng = np.random.default_rng(4)
+    top, nbr = rng.integers(3, 19, 100), rng.integers(0, 2, 100)
+    top[0] = 3
+    for kind, cols in (("tc_nb", [top, nbr]), ("tc_hll", [top])):
+        b = codec.pack_cells(kind, cols)
+        assert len(b) == codec.payload_bytes(kind, 100) and all((u == c).all() for u, c in zip(codec.unpack_cells(kind, b, 100), cols))
+
+
+def test_tail_cut_simulation_equals_a_replay():
+    for seed in range(60):
+        rng = np.random.default_rng(seed)
+        m, n = 4, int(rng.integers(5, 3000))
+        cell, k = rng.integers(0, m, n), rng.geometric(0.5, n) + (rng.random(n) < 0.01) * 14
+        t = tailcut.TailCut(m)
+        for c, r in zip(cell.tolist(), k.tolist()):
+            t.add(c, r)
+        first = np.full((m, 15), np.inf)
+        for i, (c, r) in enumerate(zip(cell, k)):
+            if r <= 15:
+                first[c, r - 1] = min(first[c, r - 1], i)
+        far = k > 15
+        top, nbr = simulate.tail_cut_cells(first, (np.flatnonzero(far).astype(float), cell[far], k[far]), float(n), 15)
+        assert (top == t.tops()).all() and (nbr == t.nbr).all()
+
+
+@pytest.mark.parametrize("which,published", [("a", 0.837), ("b", 0.88), ("c", 0.896)])
+def test_ratio_of_errors(spark, which, published):
+    """At equal memory the ratio of errors is that of memory at equal errors."""
+    r = simulate.plot_ratio(spark, which, streams=4000, cells=256, n=1e5, checkpoints=1).first()
+    assert abs(r["ratio"] - published) < 3 * r["ratio_se"] + 0.01 and r["ratio"] + 2 * r["ratio_se"] < 1.02
+    assert abs(r["predicted"] - published) < 0.01
+
+
+def test_measured_products(spark):
+    for r in simulate.measured_products(spark, streams=1500, m=128, n=1e5).collect():
+        assert abs(r["measured"] / r["published"] - 1) < 0.2, r
+
+
+def test_own_variances(spark):
+    for r in simulate.own_variances(spark, streams=1500).collect():
+        assert abs(r["own"] / r["true"] - 1) < 0.15
+
+
+def test_order_matters_to_short_offsets_only(spark):
+    r = {x["width"]: x for x in simulate.order_share(spark, streams=40, n=5000).collect()}
+    assert r[2]["by_order"] > 0.3 and r[2]["by_merge"] > 0.3 and r[4]["by_order"] < 0.1 and r[4]["by_merge"] < 0.1
