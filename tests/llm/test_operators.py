@@ -402,7 +402,7 @@ def test_adding_a_shard_moves_little():
 
     a, b = owner(24), owner(25)
     moved = sum(a[k] != b[k] for k in a)
-    assert len(a) == 50000 and moved < 0.35 * 50000  # all anew would be 96 %
+    assert len(a) == 50000 and moved < 0.08 * 50000  # one in 25 must move, all anew would be 96 %
 
 
 @pytest.mark.parametrize("n,k", [(400, 10), (7, 10)])
