@@ -368,6 +368,17 @@ def test_many_sources_get_larger_blocks(spark, monkeypatch):
     assert len(rows) == 1000 and len({r["slot"] for r in rows}) <= 50 and all(r["release"] <= r["slot"] < r["deadline"] for r in rows)
 
 
+def test_rows_of_long_phases(spark, monkeypatch):
+    monkeypatch.setattr(mixing, "EXACT", 50)
+    monkeypatch.setattr(mixing, "PATTERN", 300)
+    x = spark.createDataFrame([(i, f"s{min(i % 7, 2)}") for i in range(1000)], "doc_id long, source string")
+    rows = mixing.mix(x, block_rows=2, period=50).collect()
+    assert len(rows) == 1000 and max(r["phase"] for r in rows) > 0 and all(r["release"] <= r["slot"] < r["deadline"] for r in rows)
+    assert {r["slot"] for r in rows} == set(range(len({(r["source"], r["block"]) for r in rows})))
+    got = [r["doc_id"] for r in mixing.mixed(x, block_rows=2, period=50).collect()]
+    assert got == [r["doc_id"] for r in sorted(rows, key=lambda r: (r["slot"], r["place"]))]
+
+
 @pytest.mark.parametrize("columns", [["slot", "place"], ["__id", "rank"], ["key", "__slot"], ["__i", "__n"], ["k_id", "runs"], ["c0", "phases"]])
 def test_clashing_columns_stay(spark, docs, columns):
     from cardsketch.llm import jaccard
