@@ -429,6 +429,16 @@ _mart = q.martingale("nb", "user_id", "events", ["event_id"], 64, ["event_type"]
 add("stream_stateful", stream_stateful, f"select event_type, n as rows_in, est, var from ({_mart}) join (select event_type, count(*) as n from events group by all) using (event_type)")
 
 
+def stream_processor(spark, d):
+    """The same by a stateful processor over RocksDB."""
+    s, _ = _batches(spark, d, 4)
+    x = windows.drain(windows.transformed_martingale(s, "user_id", "event_type", "event_id", portable(64)), "update", conf=windows.ROCKSDB)
+    return x.groupBy("event_type").agg(F.max("rows_in").alias("rows_in"), F.round(F.max_by("est", "rows_in"), 6).alias("est"), F.round(F.max_by("var", "rows_in"), 4).alias("var"))
+
+
+add("stream_processor", stream_processor, f"select event_type, n as rows_in, est, var from ({_mart}) join (select event_type, count(*) as n from events group by all) using (event_type)")
+
+
 def stream_first_seen(spark, d):
     """The same without Python on rows: first arrivals, merged batch by batch."""
     s, _ = _batches(spark, d, 4)

@@ -5,6 +5,7 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StatefulProcessor
 from pyspark.sql.streaming.state import GroupStateTimeout
 
 from ..config import SketchConfig
@@ -51,50 +52,92 @@ def window_estimates(cells: DataFrame, cfg: SketchConfig, kind: str = "nb", by:
     return from_sums(sums(cells, cfg.m, keys), kind, cfg, keys).select(*keys, "estimate")
 
 
-def drain(stream: DataFrame, mode: str = "complete", out: str | None = None, checkpoint: str | None = None) -> DataFrame:
+#: State store that transformWithState needs.
+ROCKSDB = {"spark.sql.streaming.stateStore.providerClass": "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"}
+
+
+def drain(stream: DataFrame, mode: str = "complete", out: str | None = None, checkpoint: str | None = None, conf: dict[str, str] | None = None) -> DataFrame:
     """Runs a stream over what is there now and returns its rows, through a table in the shared folder.  With the
-    folders of an earlier run it goes on from there.  A batch that is run again overwrites what it wrote before."""
+    folders of an earlier run it goes on from there.  A batch that is run again overwrites what it wrote before.
+    conf holds for this stream only: a stream keeps the settings that it was started with."""
     spark = stream.sparkSession
     out, checkpoint = out or scratch(spark), checkpoint or scratch(spark)
 
     def keep(batch: DataFrame, i: int) -> None:
         batch.write.mode("overwrite").parquet(out if mode == "complete" else f"{out}/batch={i}")
 
-    q = stream.writeStream.outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(keep).start()
+    before = {k: spark.conf.get(k, None) for k in conf or {}}
+    for k, v in (conf or {}).items():
+        spark.conf.set(k, v)
+    try:
+        q = stream.writeStream.outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(keep).start()
+    finally:
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
     q.awaitTermination()
     return spark.read.schema(stream.schema).parquet(out)
 
 
+def _first_arrivals(frames) -> tuple[pd.DataFrame, int]:
+    """The first arrival of each bit of a batch, which alone can change a state, and the batch's rows."""
+    seen, n = None, 0
+    for f in frames:
+        n += len(f)
+        seen = (f if seen is None else pd.concat([seen, f])).sort_values("o").drop_duplicates(["bucket", "bit"])
+    return seen, n
+
+
+def _advance(state: tuple, seen: pd.DataFrame, n: int, m: int) -> tuple:
+    """(top, nbr, total, est, var, rows) after first arrivals."""
+    top, nbr, total, est, var, rows = state
+    top, nbr = list(top), list(nbr)
+    for cell, bit in zip(seen["bucket"].tolist(), seen["bit"].tolist()):
+        a, b = top[cell], nbr[cell]
+        c, d = nb_update(a, b, bit.bit_length())
+        if (a, b) != (c, d):
+            q = total / m
+            est, var, total = est + 1 / q, var + (1 - q) / (q * q), total + 2.0**-c * (3 - 2 * d) - 2.0**-a * (3 - 2 * b)
+            top[cell], nbr[cell] = c, d
+    return top, nbr, total, est, var, rows + n
+
+
+STATE = "top array<int>, nbr array<int>, total double, est double, var double, n long"
+
+
 def stateful_martingale(stream: DataFrame, col: str, by: str, order: str, cfg: SketchConfig) -> DataFrame:
     """(by, rows_in, est, var) updates of a sequential sketch for each group: rows are taken by
-    `order` inside a batch, batches in turn.  The state is the cells' pairs and three numbers.  Of a batch
-    only the first arrivals of each bit, which alone can change a state, are walked over one by one."""
+    `order` inside a batch, batches in turn.  The state is the cells' pairs and three numbers."""
     x = split(stream, col, cfg, [by], [F.col(order).alias("o")])
-    kind = dict(x.dtypes)[by]
     m = cfg.m
 
-    def first(frame: pd.DataFrame) -> pd.DataFrame:
-        return frame.sort_values("o").drop_duplicates(["bucket", "bit"])
-
     def run(key, frames, state):
-        top, nbr, total, est, var, n = state.get if state.exists else ([0] * m, [1] * m, float(m), 0.0, 0.0, 0)
-        top, nbr, seen = list(top), list(nbr), None
-        for f in frames:
-            n += len(f)
-            seen = first(f if seen is None else pd.concat([seen, f]))
-        for cell, bit in zip(seen["bucket"].tolist(), seen["bit"].tolist()):
-            a, b = top[cell], nbr[cell]
-            c, d = nb_update(a, b, bit.bit_length())
-            if (a, b) != (c, d):
-                q = total / m
-                est += 1 / q
-                var += (1 - q) / (q * q)
-                total += 2.0**-c * (3 - 2 * d) - 2.0**-a * (3 - 2 * b)
-                top[cell], nbr[cell] = c, d
-        state.update((top, nbr, total, est, var, n))
-        yield pd.DataFrame({by: [key[0]], "rows_in": [n], "est": [est], "var": [var]})
-
-    return x.groupBy(by).applyInPandasWithState(run, f"{by} {kind}, rows_in long, est double, var double", "top array<int>, nbr array<int>, total double, est double, var double, n long", "update", GroupStateTimeout.NoTimeout)
+        old = state.get if state.exists else ([0] * m, [1] * m, float(m), 0.0, 0.0, 0)
+        new = _advance(old, *_first_arrivals(frames), m)
+        state.update(new)
+        yield pd.DataFrame({by: [key[0]], "rows_in": [new[5]], "est": [new[3]], "var": [new[4]]})
+
+    return x.groupBy(by).applyInPandasWithState(run, f"{by} {dict(x.dtypes)[by]}, rows_in long, est double, var double", STATE, "update", GroupStateTimeout.NoTimeout)
+
+
+def transformed_martingale(stream: DataFrame, col: str, by: str, order: str, cfg: SketchConfig) -> DataFrame:
+    """The same as a stateful processor; drain() needs conf=ROCKSDB for it."""
+    x = split(stream, col, cfg, [by], [F.col(order).alias("o")])
+    m = cfg.m
+
+    class Sketch(StatefulProcessor):
+        def init(self, handle) -> None:
+            self.state = handle.getValueState("sketch", STATE)
+
+        def handleInputRows(self, key, rows, timerValues):
+            old = self.state.get() if self.state.exists() else ([0] * m, [1] * m, float(m), 0.0, 0.0, 0)
+            new = _advance(tuple(old), *_first_arrivals(rows), m)
+            self.state.update(new)
+            yield pd.DataFrame({by: [key[0]], "rows_in": [new[5]], "est": [new[3]], "var": [new[4]]})
+
+        def close(self) -> None:
+            pass
+
+    return x.groupBy(by).transformWithStateInPandas(Sketch(), f"{by} {dict(x.dtypes)[by]}, rows_in long, est double, var double", "update", "none")
 
 
 class FirstSeen:
