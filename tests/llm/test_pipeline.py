@@ -17,7 +17,7 @@ def test_stages(spark, sf_dir):
         after = {r["doc_id"]: r for r in rows}
         assert len(rows) == len(after) and set(after) <= set(before)
         if name == "near_dedup":
-            cls = {r["doc_id"]: r["component_id"] for r in jaccard.classes(x).collect()}
+            cls = {r["id"]: r["component_id"] for r in jaccard.classes(x).collect()}
             assert set(after) == set(cls.values()) and all(r["text"] == before[i]["text"] for i, r in after.items())
         if name in ("secrets", "mixing"):
             assert set(after) == set(before)
