@@ -12,7 +12,7 @@ from ..config import SketchConfig, portable
 from ..functions import theory
 from ..functions.constants import alpha, gamma, variance
 from ..functions.hashing import split
-from ..operators import blobs, codec, estimators, exact, martingale, measures, registers, tailcut
+from ..operators import codec, estimators, exact, martingale, measures, registers, tailcut
 from ..operators.blobs import register as register_blobs
 from ..sources import simulate
 from ..sources.tables import load, scratch, stored

@@ -10,12 +10,11 @@ from pyspark.sql import functions as F
 
 from ..config import SketchConfig, portable
 from ..functions import sqlfuncs
-from ..functions.constants import alpha, gamma, variance
 from ..operators import codec, entropy, estimators, exact, martingale, measures, registers, setops, tailcut
 from ..sources.tables import load, scratch, stored
 from . import planner
 from . import sqltext as q
-from .registry import FLAGS, ORACLES, QUERIES, add, r6
+from .registry import FLAGS, ORACLES, QUERIES, add, r6  # noqa: F401
 
 # -- mergeable sketches -----------------------------------------------------------------------
 
