@@ -7,11 +7,11 @@ end of the slot of the last.  Earliest deadline first among the released blocks
 each source within one block of its target at every slot.  Weights are integers out of 2**40, windows are worked
 out in integers.
 
-Up to EXACT blocks the driver walks over all of them once.  A larger corpus begins with phases, which end when a source
-runs out and repeat a period of PATTERN slots over all phases, in which weights are rounded to whole blocks; each
-block's slot follows from its number by arithmetic, in one join.  With more than SOURCES sources such a
-corpus gets larger blocks, EXACT in all.  So the plan has no more than EXACT windows and PATTERN slots, and a
-row a source, which alone comes to the driver.
+The driver walks over all blocks once, whatever their number, and writes their slots and windows PART at a time to a
+table, which is joined to the rows by source and block; it holds PART windows and a row a source.  By
+default that is so for a corpus of any size.  Whoever wants plans of bounded length can set EXACT: a corpus of more blocks then
+begins with phases, which end when a source runs out and repeat a period of PATTERN slots over all phases, in
+which weights are rounded to whole blocks, and with more than SOURCES sources gets larger blocks.
 
 Every row is emitted once.  A null source is a source of its own.  Repeated rows are rows like any others; ties go
 by id and source.  Texts are not read, whatever their length.  Sources without a weight get the mean of those that have one.
@@ -22,16 +22,22 @@ from __future__ import annotations
 import heapq
 import json
 from bisect import bisect_right
+from collections.abc import Iterator
 from fractions import Fraction
+from itertools import islice
 
-from pyspark.sql import Column, DataFrame, Window
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import aliased, named, ranked, spread_for, stored
+from .common import aliased, named, ranked, scratch, spread_for, stored
 
 BLOCK_ROWS, PERIOD = 16, 1000
-#: Blocks up to which each has its own window; slots of all periods together; sources up to which there are periods.
-EXACT, PATTERN, SOURCES = 1 << 20, 1 << 21, 1024
+#: Blocks up to which each has its own window, None: any number; beyond, slots of all periods together and sources up to which there are periods.
+EXACT: int | None = None
+PATTERN, SOURCES = 1 << 21, 1024
+#: Windows that the driver holds at once.
+PART = 1 << 18
 UNIT = 1 << 40
 #: Most starts of ranges, over all sources, that are broadcast.
 STARTS = 500_000
@@ -86,28 +92,38 @@ class Fluid:
         return self.done[j] * q + self.rate[j] * k, q
 
 
-def placed(q: dict[str, int], slots: int, blocks: dict[str, int]) -> dict[str, list[tuple[int, int, int]]]:
-    """(slot, release, deadline) of each source's blocks, earliest deadline first among released blocks, in `slots` slots."""
-    fluid, out = Fluid(q, blocks), {s: [] for s in q}
+def walk(q: dict[str, int], slots: int, blocks: dict[str, int]) -> Iterator[tuple[int, str, int, int, int]]:
+    """(slot, source, block, release, deadline) in order of slots: earliest deadline first among released blocks."""
+    fluid, due, ready = Fluid(q, blocks), dict.fromkeys(q, 0), []
+    after = {}  # when the block after the released one is released
 
-    def deadline(s: str, k: int) -> int:
-        n, d = fluid.at(s, k + 1)
-        return -(-n // d)
+    def release(s: str, r: int) -> None:
+        n, d = fluid.at(s, due[s] + 1)
+        after[s] = n // d
+        heapq.heappush(ready, (-(-n // d), s, r))
 
-    ready = [(deadline(s, 0), s, 0) for s in q if blocks.get(s, 1)]
-    heapq.heapify(ready)
+    for s in q:
+        if blocks.get(s, 1):
+            release(s, 0)
     coming: list[tuple[int, str]] = []
     for t in range(slots):
         while coming and coming[0][0] <= t:
             r, s = heapq.heappop(coming)
-            heapq.heappush(ready, (deadline(s, len(out[s])), s, r))
+            release(s, r)
         d, s, r = heapq.heappop(ready)
         if d <= t:
             raise AssertionError("a deadline is missed")
+        yield t, s, due[s], r, d
+        due[s] += 1
+        if due[s] != blocks.get(s):
+            heapq.heappush(coming, (after[s], s))
+
+
+def placed(q: dict[str, int], slots: int, blocks: dict[str, int]) -> dict[str, list[tuple[int, int, int]]]:
+    """(slot, release, deadline) of each source's blocks in `slots` slots."""
+    out: dict[str, list[tuple[int, int, int]]] = {s: [] for s in q}
+    for t, s, _, r, d in walk(q, slots, blocks):
         out[s].append((t, r, d))
-        if len(out[s]) != blocks.get(s):
-            n, den = fluid.at(s, len(out[s]))
-            heapq.heappush(coming, (n // den, s))
     return out
 
 
@@ -119,7 +135,7 @@ def schedule(blocks: dict[str, int], weights: dict[str, float], period: int = PE
     long = max(period, PATTERN // max(1, len(left)))
     while left:
         w, total = {s: weights[s] for s in left}, sum(left.values())
-        exact = total <= max(EXACT, period)
+        exact = EXACT is None or total <= max(EXACT, period)
         if exact:
             q, end, p = quotas(w, UNIT), total, 0
             made = placed(q, total, left)
@@ -158,23 +174,42 @@ def _keyed(id_col: str, source_col: str) -> list[Column]:
     return [i.alias("id"), s.alias("source"), F.coalesce(s, F.lit(NONE)).alias("key"), F.shiftrightunsigned(F.xxhash64(F.lit(7), i), 1).alias("hash")]
 
 
+def _windows(spark: SparkSession, blocks: dict[str, int], weights: dict[str, float]) -> DataFrame:
+    """(k2, block, release, deadline, slot) of all blocks, as the driver walks over them, PART at a time."""
+    kind = "k2 string, b2 long, release long, deadline long, slot long"
+    path, x = scratch(spark), walk(quotas(weights, UNIT) if blocks else {}, sum(blocks.values()), blocks)
+    spark.createDataFrame([], kind).write.parquet(path)
+    while part := list(islice(x, PART)):
+        slot, k2, block, release, deadline = zip(*part)
+        whole = pa.table({"k2": pa.array(k2, pa.string()), "b2": block, "release": release, "deadline": deadline, "slot": slot})
+        spark.createDataFrame(whole).write.mode("append").parquet(path)
+    return spark.read.schema(kind).parquet(path)
+
+
 def _planned(x: DataFrame, weights: dict[str, float] | None, block_rows: int, period: int) -> tuple[DataFrame, int, int]:
-    """The schedule as a table (k2, phases) with a row a source, the rows of the largest source, and those of a block."""
+    """The schedule, the rows of the largest source, and those of a block.  The schedule has a row a block (k2, b2,
+    release, deadline, slot) or, beyond EXACT blocks, a row a source (k2, phases)."""
     counts = {r["key"]: r["n"] for r in x.groupBy("key").agg(F.count("*").alias("n")).collect()}  # a row a source
-    if len(counts) > SOURCES:  # the last block of a source may be short
+    if EXACT is not None and len(counts) > SOURCES:  # the last block of a source may be short
         block_rows = max(block_rows, -(-sum(counts.values()) // max(1, EXACT - len(counts))))
-    plan = schedule({s: -(-n // block_rows) for s, n in counts.items()}, target_weights(counts, weights), period)
+    blocks, target, most = {s: -(-n // block_rows) for s, n in counts.items()}, target_weights(counts, weights), max(counts.values(), default=1)
+    if EXACT is None or sum(blocks.values()) <= max(EXACT, period):
+        return _windows(x.sparkSession, blocks, target), most, block_rows
     per: dict[str, list] = {s: [] for s in counts}
-    for r in plan:
+    for r in schedule(blocks, target, period):
         per[r.pop("source")].append(r)
     kind = "array<struct<source:string,phases:array<struct<phase:int,first:long,last:long,start:long,quota:long,period:long,slots:array<long>,release:array<long>,deadline:array<long>>>>>"
     table = x.sparkSession.range(1).select(F.explode(F.from_json(F.lit(json.dumps([{"source": s, "phases": p} for s, p in per.items()])), kind)).alias("x")).select(F.col("x.source").alias("k2"), "x.phases")
-    return table, max(counts.values(), default=1), block_rows
+    return table, most, block_rows
 
 
 def _slotted(x: DataFrame, table: DataFrame, block_rows: int) -> DataFrame:
     """Adds block, phase, release, deadline, slot and place to rows with key and rank."""
-    x = x.withColumn("block", F.floor(F.col("rank") / block_rows)).join(F.broadcast(table), F.col("key") == F.col("k2"))
+    x = x.withColumn("block", F.floor(F.col("rank") / block_rows)).withColumn("place", (F.col("rank") % block_rows).cast("int"))
+    if "phases" not in table.columns:
+        x = x.join(table, (F.col("key") == F.col("k2")) & (F.col("block") == F.col("b2")))
+        return x.withColumn("phase", F.lit(0)).drop("k2", "b2")
+    x = x.join(F.broadcast(table), F.col("key") == F.col("k2"))
     x = x.withColumn("p", F.get(F.filter("phases", lambda p: (p["first"] <= F.col("block")) & (F.col("block") <= p["last"])), F.lit(0)))
     x = x.withColumn("k", (F.col("block") - F.col("p.first")).cast("int"))
     k, own = F.col("block") - F.col("p.first"), F.col("p.period") == 0
@@ -189,7 +224,6 @@ def _slotted(x: DataFrame, table: DataFrame, block_rows: int) -> DataFrame:
         "release": of("release", "n * p.period div p.quota"),
         "deadline": of("deadline", "((n + 1) * p.period + p.quota - 1) div p.quota"),
         "slot": of("slots", "n div p.quota * p.period + get(p.slots, cast(n % p.quota as int))"),
-        "place": (F.col("rank") % block_rows).cast("int"),
     }).drop("k2", "phases", "p", "k", "n")
 
 
@@ -223,28 +257,29 @@ def mixed(docs: DataFrame, weights: dict[str, float] | None = None, id_col: str
     """The rows of docs, all columns, in mixed order.
 
     Slots rise with (hash, id) within a source.  So one row a source and range of slots, where that
-    range starts, tells each row's range from its own columns, and texts move once, to their range,
-    where they are numbered and sorted.  Only where some (id, source) is repeated or an id is null, or there are
-    over STARTS such rows, are places joined to rows, and texts move twice."""
+    range starts, tells each row's range from its own columns, and texts move once, to their range, with a row a
+    block that brings its slot and sorts before the block's first row.  Only where some (id, source) is repeated or
+    an id is null, or there are over STARTS rows of ranges, are places joined to rows, and texts move twice."""
     n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     x = docs.select(*_keyed(id_col, source_col))
     table, most, block_rows = _planned(x, weights, block_rows, period)
-    place = stored(_slotted(_ranks(x, most), table, block_rows).select("id", "source", "key", "hash", "rank", "slot", "place"))
+    place = stored(_slotted(_ranks(x, most), table, block_rows).select("id", "source", "key", "hash", "slot", "place"))
     sources, slots = place.agg(F.count_distinct("key"), F.coalesce(F.max("slot"), F.lit(0)) + 1).first()
     odd = place.where("id is null").head(1) or place.groupBy("id", "key").agg(F.count("*").alias("n")).where("n > 1").head(1)
     if odd or sources * n > STARTS:
         return _joined(docs, place, id_col, source_col)
-    width = -(-slots // n)
-    start = place.groupBy("key", F.expr(f"cast(slot div {width} as int)").alias("range")).agg(F.min(F.struct("hash", "id", "rank")).alias("s"))
-    start = start.groupBy(F.col("key").alias("k1")).agg(F.array_sort(F.collect_list(F.struct("s.hash", "s.id", "s.rank", "range"))).alias("starts"))
+    lead = place.where("place = 0").withColumn("range", F.expr(f"cast(slot div {-(-slots // n)} as int)"))
+    start = lead.groupBy("key", "range").agg(F.min(F.struct("hash", "id")).alias("s"))
+    start = start.groupBy(F.col("key").alias("k1")).agg(F.array_sort(F.collect_list(F.struct("s.hash", "s.id", "range"))).alias("starts"))
     start = stored(start)  # sources * n entries, STARTS at most
     i, _, key, h = _keyed(id_col, source_col)
     y = aliased(docs, i.alias("__id"), key.alias("key"), h.alias("__hash"))
-    y = y.join(F.broadcast(start), F.col("key") == F.col("k1")).withColumn("__s", _bisected(F.col("__hash"), F.col("__id"), n)).drop("k1", "starts")
-    y = y.withColumn("__range", F.col("__s.range")).repartitionById(n, "__range")
-    inside = Window.partitionBy("__range", "key").orderBy("__hash", "__id")
-    y = y.withColumn("rank", F.col("__s.rank") + F.row_number().over(inside) - 1)
-    y = _slotted(y, table, block_rows).sortWithinPartitions("slot", "place")
+    own = [F.lit(None).cast(f.dataType).alias(f.name) for f in y.schema if f.name not in ("__id", "key", "__hash")]
+    y = y.join(F.broadcast(start), F.col("key") == F.col("k1")).withColumn("__range", _bisected(F.col("__hash"), F.col("__id"), n)["range"]).drop("k1", "starts")
+    y = y.withColumn("__slot", F.lit(None).cast("long"))
+    y = y.union(lead.select(*own, F.col("id"), "key", "hash", "range", "slot")).repartitionById(n, "__range")
+    inside = Window.partitionBy("__range", "key").orderBy("__hash", "__id", F.col("__slot").asc_nulls_last()).rowsBetween(Window.unboundedPreceding, 0)
+    y = y.withColumn("slot", F.last("__slot", True).over(inside)).where("__slot is null").sortWithinPartitions("slot", "__hash", "__id")
     return named(y, docs)
 
 
