@@ -1,6 +1,8 @@
 """Near copies by the likeness of their sets of five-word shingles.
 
-Candidates are texts that share one of BANDS keys, each of ROWS MinHash values, and whose sketches, a bit
+Candidates are, first, texts whose SimHash fingerprints, over these shingles, differ in at most 3 bits, found by
+simhash.py's deletion variants.  A likeness of 0.8 is 4 to 15 bits, out of reach of any variants, so for the rest of the
+links candidates are also texts that share one of BANDS keys, each of ROWS MinHash values, and whose sketches, a bit
 of each of 128 MinHash values, differ in at most SKETCH_RADIUS bits.  Texts with likeness 0.8 miss every
 band with a chance of 5e-5 and the sketch's radius with 2e-5.  Within a key's bucket only a spanning forest's
 links are emitted, so rows never grow with the square of a bucket.  The sets of a component of these
@@ -20,6 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import simhash
 from .common import discard, keep_least, sent, stored, text_hash
 from .components import components
 
@@ -69,15 +72,16 @@ def signature(h: np.ndarray) -> tuple[list[int], np.ndarray]:
 
 def _signatures(batches):
     for batch in batches:
-        s, keys, sketch = [], [], []
+        s, f, keys, sketch = [], [], [], []
         for t in batch["text"]:
             h = shingles(t.as_py())
             k, b = signature(h)
             s.append(name_of(h))
+            f.append(simhash.majority(h))
             keys.append(np.array(k, np.uint64).view(np.int64))
             sketch.append(b)
         two = np.array(sketch, np.uint64).reshape(-1, 2).view(np.int64)
-        yield pa.RecordBatch.from_arrays([batch["id"], batch["th"], pa.array(np.array(s, np.uint64).view(np.int64)), pa.array(two[:, 0]), pa.array(two[:, 1]), pa.array(keys, pa.list_(pa.int64()))], names=["id", "th", "s", "s1", "s2", "keys"])
+        yield pa.RecordBatch.from_arrays([batch["id"], batch["th"], pa.array(np.array(s, np.uint64).view(np.int64)), pa.array(np.array(f, np.uint64).view(np.int64)), pa.array(two[:, 0]), pa.array(two[:, 1]), pa.array(keys, pa.list_(pa.int64()))], names=["id", "th", "s", "f", "s1", "s2", "keys"])
 
 
 def _runs(batches, key: str):
@@ -199,16 +203,31 @@ def _texts(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return docs.select(F.col(id_col).cast("long").alias("id"), text_hash(text_col).alias("th"), F.col(text_col).cast("string").alias("text"))
 
 
+def _by_simhash(nodes: DataFrame) -> DataFrame:
+    """(a, b): links that join all sets (s, f) whose fingerprints f differ in at most 3 bits."""
+    lead = stored(nodes.groupBy("f").agg(F.min("s").alias("lead")))
+    same = nodes.select("s", "f").join(lead, "f").where("s <> lead").select(F.col("s").alias("a"), F.col("lead").alias("b"))
+    x = stored(simhash.links(lead.select("f")).distinct())
+    for c in ("a", "b"):
+        x = x.join(lead.select(F.col("f").alias(c), F.col("lead").alias(f"{c}1")), c).drop(c)
+    return same.union(x.select("a1", "b1"))
+
+
+def _by_bands(nodes: DataFrame, partitions: int) -> DataFrame:
+    """(a, b): links of the sets (s, s1, s2, keys) that share a band's key and have like sketches."""
+    x = nodes.select(F.explode("keys").alias("key"), "s", "s1", "s2")
+    return x.repartition(partitions, "key").sortWithinPartitions("key", "s").mapInArrow(_links, "a long, b long")
+
+
 def _members(docs: DataFrame, id_col: str, text_col: str, least: float) -> DataFrame:
     """(id, th, root, component_id) for each row: root names the group that links of likeness `least` or more join."""
     n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    made = stored(_texts(docs, id_col, text_col).mapInArrow(_signatures, "id long, th long, s long, s1 long, s2 long, keys array<long>"))
+    made = stored(_texts(docs, id_col, text_col).mapInArrow(_signatures, "id long, th long, s long, f long, s1 long, s2 long, keys array<long>"))
     # of rows of one set, that of the least (id, th) stands for all
     node = F.min(F.struct("id", "th")).alias("row")
-    nodes = stored(made.groupBy("s").agg(F.min("id").alias("least"), node, F.first("s1").alias("s1"), F.first("s2").alias("s2"), F.first("keys").alias("keys")))
-    x = nodes.select(F.explode("keys").alias("key"), "s", "s1", "s2")
-    x = x.repartition(n, "key").sortWithinPartitions("key", "s").mapInArrow(_links, "a long, b long")
-    roots = stored(components(x).select(F.col("node").alias("s"), "root"))
+    nodes = stored(made.groupBy("s").agg(F.min("id").alias("least"), node, F.first("f").alias("f"), F.first("s1").alias("s1"), F.first("s2").alias("s2"), F.first("keys").alias("keys")))
+    x = stored(_by_simhash(nodes))  # one Python stage at a time
+    roots = stored(components(x.union(stored(_by_bands(nodes, n)))).select(F.col("node").alias("s"), "root"))
     blocks = stored(roots.groupBy("root").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("n")))
     want = roots.join(blocks, "root").join(nodes.select("s", "row"), "s")
     want = stored(want.select("s", "root", "n", F.col("row.id").alias("i"), F.col("row.th").alias("h")))

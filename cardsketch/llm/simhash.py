@@ -38,6 +38,11 @@ def fingerprint(text: str | None, words: int = 3, seed: int = 42) -> int:
         starts = [0, *(e + 1 for e in ends[: len(w) - words])]
         x = xxhash.xxh64_intdigest
         h = np.array([x(joined[a:b], seed) for a, b in zip(starts, ends[words - 1:])], np.uint64)
+    return majority(h)
+
+
+def majority(h: np.ndarray) -> int:
+    """A bit is 1 if it is in over half of h."""
     n, ones = len(h), np.zeros(64, np.int64)
     for i in range(0, n, 65536):
         ones += np.unpackbits(h[i:i + 65536].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
