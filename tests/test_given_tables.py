@@ -8,6 +8,7 @@ from cardsketch.plans import experiments, queries as base  # noqa: F401
 COUNTS = {
     "constants_table": "lines",
     "pair_law": "orders",
+    "integrand_forms": "lines",
 }
 
 
