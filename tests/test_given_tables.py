@@ -9,6 +9,7 @@ COUNTS = {
     "constants_table": "lines",
     "pair_law": "orders",
     "integrand_forms": "lines",
+    "mean_error": "lines",
 }
 
 
@@ -27,3 +28,8 @@ def test_counts_follow_the_table(spark, sf_dir, doubled, name):
     of = lambda d: sorted((r[COUNTS[name]] for r in base.QUERIES[name](spark, d).collect()))
     once = of(sf_dir)
     assert once and of(doubled) == [2 * n for n in once]
+
+
+def test_errors_stay_under_the_stated_bound(spark, sf_dir):
+    rows = base.QUERIES["mean_error"](spark, sf_dir).collect()
+    assert rows and all(abs(r["error"]) <= r["bound"] for r in rows)
