@@ -10,6 +10,7 @@ COUNTS = {
     "pair_law": "orders",
     "integrand_forms": "lines",
     "mean_error": "lines",
+    "memory_bits": "lines",
 }
 
 
