@@ -12,6 +12,7 @@ COUNTS = {
     "mean_error": "lines",
     "memory_bits": "lines",
     "mvp_table1": "lines",
+    "memory_ratios": "n",
 }
 
 
