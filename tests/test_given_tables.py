@@ -16,6 +16,7 @@ COUNTS = {
     "mvp_table1": "lines",
     "memory_ratios": "n",
     "mvp_measured": "runs",
+    "retrospective_variance": "runs",
 }
 
 
