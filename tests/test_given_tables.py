@@ -17,6 +17,7 @@ COUNTS = {
     "memory_ratios": "n",
     "mvp_measured": "runs",
     "retrospective_variance": "runs",
+    "order_sensitivity": "runs",
 }
 
 
