@@ -18,6 +18,7 @@ COUNTS = {
     "mvp_measured": "runs",
     "retrospective_variance": "runs",
     "order_sensitivity": "runs",
+    "ablation_width": "runs",
 }
 
 
