@@ -12,6 +12,7 @@ of their first piece.  Null and empty texts are one closing token.  Repeated row
 
 from __future__ import annotations
 
+import codecs
 import json
 import re
 import sys
@@ -126,13 +127,30 @@ def _shelf() -> dict:
     return sys.modules.setdefault("cardsketch_worker", ModuleType("cardsketch_worker")).__dict__.setdefault("shelf", {})
 
 
+#: ASCII punctuation, whose runs are units to the splitter.
+MARKS = bytes(b for b in range(33, 127) if not chr(b).isalnum())
+
+
+def _latin(text: str) -> bool:
+    """Whether all characters are below U+0100."""
+    if text.isascii():
+        return True
+    try:
+        text.encode("latin-1")
+    except UnicodeEncodeError:
+        return False
+    return True
+
+
 def word_ids(path: str):
     """A function from text to its ids as unsigned 32-bit little-endian bytes.
 
     The vocabulary's normaliser and splitter never join characters across ASCII white space, and
     drop the latter; so ids are those of the words between, which a worker keeps from task to task.
     Words of Latin letters, which are one unit to the splitter, go straight to the merge rules; so
-    do they before a comma or full stop.  All others take the whole way, in one string at a time.
+    do they before a run of ASCII punctuation, which is a unit of its own.  All others take the whole
+    way, in one string at a time.  Texts of Latin letters alone are composed already, so A-Z may be lower-cased
+    before words are looked up, unless that would write or unwrite one of the vocabulary's added tokens.
     """
     from tokenizers import Tokenizer
 
@@ -142,14 +160,10 @@ def word_ids(path: str):
     whole, cache, short = shelf[path]
     if not short:
         return lambda text: np.array(whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
-    merge, letters, pack = whole.model.tokenize, _byte_letters(), np.array
-
-    def letters_only(w: str) -> bool:
-        return w.isalpha() and (w.isascii() or max(w) < "\u0100")
-
-    def one(w: str) -> bytes:
-        w = w.lower()
-        return array("I", [t.id for t in merge(w if w.isascii() else "".join(map(letters.__getitem__, w.encode())))]).tobytes()
+    merge, pack, decode = whole.model.tokenize, np.array, codecs.charmap_decode
+    table = "".join(v for _, v in sorted(_byte_letters().items()))
+    added = [t.content.encode().lower() for t in whole.get_added_tokens_decoder().values()]
+    runs: dict[bytes, bytes] = {}
 
     def many(words: list[str]) -> None:
         e = whole.encode(" ".join(words), add_special_tokens=False)
@@ -160,25 +174,40 @@ def word_ids(path: str):
         for w, a, b in zip(words, cut, cut[1:]):
             cache[w.encode()] = ids[a:b].tobytes()
 
-    marks = {m: pack(whole.encode(m, add_special_tokens=False).ids, "<u4").tobytes() for m in ",."}
+    def run_ids(run: bytes) -> bytes:
+        if run not in runs:
+            if len(runs) >= 1000:
+                runs.clear()
+            runs[run] = pack(whole.encode(run.decode(), add_special_tokens=False).ids, "<u4").tobytes()
+        return runs[run]
 
     def fill(missing: set[bytes]) -> None:
-        other = []
+        other, known = [], cache.get
         for raw in missing:
-            w = raw.decode()
-            if letters_only(w):
-                cache[raw] = one(w)
-            elif w[-1] in marks and letters_only(w[:-1]):
-                core = cache.get(raw[:-1])
-                cache[raw] = (one(w[:-1]) if core is None else core) + marks[w[-1]]
+            core = raw.rstrip(MARKS)
+            if core.isalpha():
+                low = core.lower()
+                got = None if low is raw else known(low)
+                if got is None:
+                    got = array("I", [t.id for t in merge(low.decode())]).tobytes()
+            elif core and max(core) < 0xC4 and (w := core.decode()).isalpha():  # U+00FF is written C3 BF
+                got = known(core)
+                if got is None:
+                    got = array("I", [t.id for t in merge(decode(w.lower().encode(), "strict", table)[0])]).tobytes()
             else:
-                other.append(w)
+                other.append(raw.decode())
+                continue
+            cache[raw] = got if len(core) == len(raw) else got + run_ids(raw[len(core):])
         for i in range(0, len(other), 500):
             many(other[i:i + 500])
 
     def ids(text: str) -> bytes:
-        out = []
-        words = text.encode().split()
+        out, raw = [], text.encode()
+        if _latin(text):
+            low = raw.lower()
+            if not any(a in low for a in added):
+                raw = low
+        words = raw.split()
         for i in range(0, len(words), 50_000):
             part = words[i:i + 50_000]
             got = list(map(cache.get, part))

@@ -257,6 +257,30 @@ def test_word_ids_equal_the_tokenizer():
         assert ids(t) == np.array(tok.encode(t, add_special_tokens=False).ids, "<u4").tobytes(), t
 
 
+def test_words_in_capitals_and_before_marks_are_merged_once():
+    from types import SimpleNamespace
+
+    from tokenizers import Tokenizer
+
+    path, asked, shelf = tokenizer_path(), [], packing._shelf()
+    tok, kept = Tokenizer.from_file(path), shelf.pop(tokenizer_path(), None)
+    texts = ["Foo foo FOO foo, FOO*** foo!? bar&&& Été", "<|endoftext|> <|ENDOFTEXT|> A", "H\u0331 h\u0331 I\u0307 FOO ΣΑΣ Foo, É\u0331.", "''s foo's 'S x'' ,. \x7f a\x7f \xd7 É×"]
+    counting = SimpleNamespace(model=SimpleNamespace(tokenize=lambda w: asked.append(w) or tok.model.tokenize(w)), get_added_tokens_decoder=tok.get_added_tokens_decoder,
+                               encode=lambda t, **o: asked.append(t) or tok.encode(t, **o))
+    try:
+        shelf[path] = counting, {}, True
+        ids = packing.word_ids(path)
+        for k, t in enumerate(texts):
+            assert ids(t) == np.array(tok.encode(t, add_special_tokens=False).ids, "<u4").tobytes(), t
+            if not k:
+                assert set(shelf[path][1]) == {w.encode() for w in ("foo", "foo,", "foo***", "foo!?", "bar&&&", "Été")}
+                assert not any(" " in a for a in asked)
+    finally:
+        shelf.pop(path)
+        if kept:
+            shelf[path] = kept
+
+
 def test_other_vocabularies_take_the_whole_way():
     import os
 
