@@ -36,8 +36,10 @@ CHUNK = 1 << 20
 NO_ID = -(1 << 63)
 #: Most ids of cut texts that are sent to all tasks, so that the other texts need not move.
 SENT = 1 << 20
-ANCHORS = "id long, th long, law tinyint, t int, lo int, hi int, s long"
+ANCHORS = "id long, th long, at long, s long"
 RANGES = ANCHORS + ", b1 long, b2 long"
+#: Bits of the distances, in units, from a range's windows to its trigger, which are less than a law's span.
+NEAR = 9
 
 
 @dataclass(frozen=True)
@@ -123,6 +125,17 @@ def pieces(law: np.ndarray, t: np.ndarray, lo: np.ndarray, hi: np.ndarray, width
     return at, near, np.maximum(lo[at], t[at] - near - width[at] + 1), np.minimum(hi[at], t[at] - near)
 
 
+def packed(law: np.ndarray | int, t: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
+    """Ranges as one long each, so that rows of the large tables are short."""
+    return ((t << NEAR | t - lo) << NEAR | t - hi) << 1 | law
+
+
+def unpacked(at: np.ndarray) -> tuple[np.ndarray, ...]:
+    """(law, t, lo, hi)"""
+    near, t = (1 << NEAR) - 1, at >> (2 * NEAR + 1)
+    return at & 1, t, t - (at >> (NEAR + 1) & near), t - (at >> 1 & near)
+
+
 def _keys(buf: bytes, law: Law, width: int, t: list[int], near: list[int], lo: list[int], hi: list[int]) -> tuple[bytes, bytes]:
     """Keys of pieces of ranges, joined: of the units shared by any `width` windows aligned to the trigger (8 bytes),
     and of all units covered (16)."""
@@ -138,8 +151,7 @@ def _parse(laws: list[Law]):
     names = [x.split()[0] for x in ANCHORS.split(", ")]
 
     def table(held) -> pa.RecordBatch:
-        i, th, law, t, lo, hi, s = (np.concatenate(c) for c in zip(*held))
-        return pa.RecordBatch.from_arrays([pa.array(i), pa.array(th), pa.array(law), *(pa.array(x.astype(np.int32)) for x in (t, lo, hi)), pa.array(s)], names=names)
+        return pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*held)], names=names)
 
     def run(batches):
         for batch in batches:
@@ -148,7 +160,7 @@ def _parse(laws: list[Law]):
                 raw = (text.as_py() or "").encode()
                 for k, law in enumerate(laws):
                     for t, lo, hi, s in anchors(law.units(raw), law):
-                        held.append((np.full(len(t), i, np.int64), np.full(len(t), th, np.int64), np.full(len(t), k, np.int8), t, lo, hi, s))
+                        held.append((np.full(len(t), i, np.int64), np.full(len(t), th, np.int64), packed(k, t, lo, hi), s))
                         n += len(t)
                 if n > 50_000:
                     yield table(held)
@@ -158,11 +170,10 @@ def _parse(laws: list[Law]):
     return run
 
 
-def _flat(column: pa.Array, names: tuple[str, ...]) -> tuple[np.ndarray, ...]:
-    """(row, fields...) of a column of lists of structs, null being empty."""
+def _flat(column: pa.Array) -> tuple[np.ndarray, ...]:
+    """(row, law, t, lo, hi) of a column of lists of packed ranges, null being empty."""
     size = column.value_lengths().fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64)
-    flat = column.flatten()
-    return (np.repeat(np.arange(len(column)), size), *(flat.field(n).to_numpy(zero_copy_only=False).astype(np.int64) for n in names))
+    return (np.repeat(np.arange(len(column)), size), *unpacked(column.flatten().to_numpy(zero_copy_only=False).astype(np.int64)))
 
 
 def _refine(laws: list[Law], level: int):
@@ -172,7 +183,7 @@ def _refine(laws: list[Law], level: int):
 
     def run(batches):
         for batch in batches:
-            row, law, t, lo, hi = _flat(batch["ranges"], ("law", "t", "lo", "hi"))
+            row, law, t, lo, hi = _flat(batch["ranges"])
             o = np.lexsort((law, row))
             row, law, t, lo, hi = (x[o] for x in (row, law, t, lo, hi))
             at, near, lo, hi = pieces(law, t, lo, hi, widths[law])
@@ -187,7 +198,7 @@ def _refine(laws: list[Law], level: int):
                     part = slice(first, b)
                     s, two = (np.frombuffer(b"".join(x), ">u8").astype(np.uint64).view(np.int64) for x in zip(*held))
                     r = row[part]
-                    columns = [pa.array(ids[r]), pa.array(ths[r]), pa.array(law[part].astype(np.int8)), *(pa.array(x[part].astype(np.int32)) for x in (t, lo, hi)), pa.array(s), pa.array(two[::2]), pa.array(two[1::2])]
+                    columns = [pa.array(ids[r]), pa.array(ths[r]), pa.array(packed(*(x[part] for x in (law, t, lo, hi)))), pa.array(s), pa.array(two[::2]), pa.array(two[1::2])]
                     yield pa.RecordBatch.from_arrays(columns, names=names)
                     held, first = [], b
     return run
@@ -205,12 +216,12 @@ def _seen_again(rows: DataFrame) -> DataFrame:
 def _resolve(ranges: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(repeated, open): ranges all of whose windows are repeated, and those that the next level must see: of
     each two or more unlike ranges with a common first key, one range a kind."""
-    found = _seen_again(ranges)
-    kinds = stored(found.groupBy("s", "b1", "b2").agg(F.count("*").alias("n"), F.min(F.struct("id", "th", "law", "t", "lo", "hi")).alias("r")))
-    whole = stored(found.join(kinds.where("n > 1").select("s", "b1", "b2"), ["s", "b1", "b2"], "left_semi").select("id", "th", "law", "lo", "hi"))
+    # any range of a kind will do; first of longs needs no sort, min of a struct would
+    kinds = stored(ranges.groupBy("s", "b1", "b2").agg(F.count("*").alias("n"), *[F.first(c).alias(c) for c in ("id", "th", "at")]))
+    whole = stored(ranges.join(kinds.where("n > 1").select("s", "b1", "b2"), ["s", "b1", "b2"], "left_semi").select("id", "th", "at"))
     several = stored(kinds.groupBy("s").agg(F.count("*").alias("k")).where("k > 1").select("s"))
-    left = stored(kinds.join(several, "s", "left_semi").select("r.*"))
-    for x in (found, kinds, several):
+    left = stored(kinds.join(several, "s", "left_semi").select("id", "th", "at"))
+    for x in (kinds, several):
         discard(x)
     return whole, left
 
@@ -245,7 +256,7 @@ def _cut(laws: list[Law], with_text: bool):
 
     def run(batches):
         for batch in batches:
-            row, law, lo, hi = _flat(batch["spans"], ("law", "lo", "hi"))
+            row, law, _, lo, hi = _flat(batch["spans"])
             g, a, b = runs(row * 2 + law, lo, hi + lengths[law])
             at = np.searchsorted(g, np.arange(2 * batch.num_rows + 1))
             rows = []
@@ -286,7 +297,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     found = _seen_again(parse)
     discard(parse)
     # the texts that a level or the result needs, with their open ranges
-    listed = lambda x: x.groupBy(*key).agg(F.collect_list(F.struct("law", "t", "lo", "hi")).alias("ranges"))
+    listed = lambda x: x.groupBy(*key).agg(F.collect_list("at").alias("ranges"))
     texts = stored(whole.join(listed(found), key).dropDuplicates(key))
     discard(found)
     asked, spans = texts, None
@@ -296,7 +307,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
         discard(ranges)
         spans = more if spans is None else spans.union(more)
         asked = texts.drop("ranges").join(listed(left), key)
-    spans = spans.groupBy(*key).agg(F.collect_list(F.struct("law", "lo", "hi")).alias("spans"))
+    spans = spans.groupBy(*key).agg(F.collect_list("at").alias("spans"))
     cut = stored(texts.drop("ranges").join(spans, key).mapInArrow(_cut(laws, with_text), "id long, th long, n_removed long, n_spans long, kept_sha256 string, n_passages long, passage_words long, text string"))
     discard(texts)
     sizes = [*key, F.octet_length("text").cast("long").alias("n_bytes")]

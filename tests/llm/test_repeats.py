@@ -70,3 +70,24 @@ def test_many_cut_texts_move_by_key(spark, sf_dir, monkeypatch):
     a = sorted(map(tuple, pfp.remove_repeats(docs, words=WORDS, with_text=True).collect()))
     monkeypatch.setattr(pfp, "SENT", 0)
     assert a == sorted(map(tuple, pfp.remove_repeats(docs, words=WORDS, with_text=True).collect()))
+
+
+def test_ranges_are_short_rows_and_need_no_sort_to_be_counted(spark, sf_dir, monkeypatch):
+    """Tables with a row a range hold longs only, seven at most, and are aggregated by hash."""
+    seen, store = [], pfp.stored
+    monkeypatch.setattr(pfp, "stored", lambda df: seen.append((df.columns, df._jdf.queryExecution().executedPlan().toString())) or store(df))
+    pfp.remove_repeats(spark.read.parquet(f"{sf_dir}/documents.parquet"), words=WORDS)
+    tables = [x for x in seen if "s" in x[0]]
+    assert len(tables) >= 6
+    for columns, plan in tables:
+        assert len(columns) <= 7 and "law" not in columns and "SortAggregate" not in plan
+
+
+@pytest.mark.parametrize("span", [256, 40])
+def test_packed_ranges(span):
+    rng = np.random.default_rng(span)
+    law, t = rng.integers(0, 2, 1000), rng.integers(span, 1 << 31, 1000)
+    hi = t - rng.integers(0, span, 1000)
+    lo = np.maximum(hi - rng.integers(0, span, 1000), t - span + 1)
+    for a, b in zip((law, t, lo, hi), pfp.unpacked(pfp.packed(law, t, lo, hi))):
+        assert (a == b).all()
